@@ -1,15 +1,30 @@
-"""Registered queries of the fingerprint engine and their SQL twins."""
+"""Registered queries of the fingerprint engine and their SQL twins.
+
+Each family of queries has a module under plans/; this one puts them together.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+
+from splitguard.plans import audits, hashing, tables
+
+Query = Callable[[SparkSession, str], DataFrame]
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return audits.sanitize_report(spark, sf_dir, "part")
+
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+def entries() -> dict[str, tuple[Query, str | None]]:
+    return hashing.entries() | audits.entries() | tables.entries()
 
 
-def queries():
-    return {}
+def queries() -> dict[str, Query]:
+    return {name: query for name, (query, _) in entries().items()}
 
 
-def oracle_sql():
-    return {}
+def oracle_sql() -> dict[str, str]:
+    return {name: sql for name, (_, sql) in entries().items() if sql is not None}
