@@ -241,7 +241,7 @@ class Encoder:
         length = size[numbers]
         ends = np.cumsum(length)
         ids = flat[np.repeat(begin[numbers] - ends + length, length) + np.arange(length.sum())]
-        bounds = np.cumsum([len(u) for u in split])
+        bounds = np.cumsum([len(u) for u in split], dtype=np.int64)
         upto = np.concatenate(([0], ends))[bounds]
         return ids, np.diff(upto, prepend=0)
 
