@@ -150,7 +150,8 @@ def phash_factor(
             hashes = []
             for row in batch.select(["height", "width", "pixels"]).to_pylist():
                 h, w, p = row["height"], row["width"], row["pixels"]
-                if p is None or h is None or w is None or len(p) != h * w or min(h, w) // factor < side:
+                whole = p is not None and h is not None and w is not None and len(p) == h * w
+                if not whole or None in p or min(h, w) // factor < side:
                     hashes.append(None)
                     continue
                 block = factor_block(np.array(p).reshape(h, w), factor, side)
