@@ -30,7 +30,8 @@ from splitguard.operators.components import connected_components
 WORDS = 4
 SEED = 42
 MAX_BITS = 4
-BLOCKS = 6
+#: Mean number of unrelated fingerprints that a run of equal keys may hold.
+RUN_PRINTS = 64
 SMALL_RUN = 48
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -101,6 +102,17 @@ def block_layout(max_bits: int, blocks: int) -> tuple[list[tuple[int, int]], int
     return list(zip(shifts, sizes)), blocks - max_bits
 
 
+def blocks_for(prints: int, max_bits: int = MAX_BITS) -> int:
+    """Fewest blocks whose keys leave about RUN_PRINTS unrelated fingerprints a run.
+
+    More blocks make longer keys and more of them; links are the same with any number.
+    """
+    blocks = max_bits + 2
+    while blocks < 2 * max_bits and prints >> (64 * (blocks - max_bits) // blocks) > RUN_PRINTS:
+        blocks += 1
+    return blocks
+
+
 def _block_keys(max_bits: int, blocks: int):
     layout, agree = block_layout(max_bits, blocks)
     keys = []
@@ -215,8 +227,13 @@ def _link_kernel(max_bits: int):
     return links
 
 
-def print_links(prints: DataFrame, max_bits: int = MAX_BITS, blocks: int = BLOCKS) -> DataFrame:
-    """Verified links (a, b) between distinct fingerprints, enough to connect every near pair."""
+def print_links(prints: DataFrame, max_bits: int = MAX_BITS, blocks: int | None = None) -> DataFrame:
+    """Verified links (a, b) between distinct fingerprints, enough to connect every near pair.
+
+    A run's fingerprints are different and lie in few small Hamming balls besides the
+    unrelated ones, so its size doesn't grow with the number of copies.
+    """
+    blocks = blocks or blocks_for(prints.count(), max_bits)
     dealt = (
         prints.select("fp", _block_keys(max_bits, blocks).alias("key"))
         .repartition("key")
@@ -231,7 +248,7 @@ def near_duplicates(
     id_col: str = "doc_id",
     text_col: str = "text",
     max_bits: int = MAX_BITS,
-    blocks: int = BLOCKS,
+    blocks: int | None = None,
 ) -> DataFrame:
     """(doc_id, row_text, fp, class, component_id) per row.
 
@@ -256,7 +273,7 @@ def keep_one(
     id_col: str = "doc_id",
     text_col: str = "text",
     max_bits: int = MAX_BITS,
-    blocks: int = BLOCKS,
+    blocks: int | None = None,
 ) -> DataFrame:
     """docs with one row of each near-duplicate group: the one with the least id."""
     found = reliable(near_duplicates(docs, id_col, text_col, max_bits, blocks))
