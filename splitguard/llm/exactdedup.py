@@ -1,7 +1,7 @@
 """Exact de-duplication by an exchange of Golomb-coded fingerprints.
 
 1. One pass over the texts makes a narrow table: id, SHA-256 of the normalised
-   text, the partition it was read in. Texts themselves do not move.
+   text. Texts themselves do not move.
 2. Each partition sends every owner of a fingerprint range one message: its
    distinct fingerprints, sorted, as Golomb-Rice coded gaps, and a bit for each
    that says whether the partition holds it more than once.
@@ -142,12 +142,18 @@ def _receive(owners: int, bits: int):
 
 
 def suspect_prints(rows: DataFrame, bits: int = BITS, owners: int | None = None) -> DataFrame:
-    """Distinct fingerprints that occur more than once in rows (part, fp), a checkpointed table."""
-    owners = owners or 4 * shuffle_width(rows.sparkSession)
-    sent = reliable(rows.select("part", "fp").mapInArrow(_send(owners, bits), _MESSAGE_DDL))
+    """Distinct fingerprints that occur more than once in rows (fp, ...), a checkpointed table.
+
+    There are as many owners as shuffle partitions and no more senders, so that a message
+    holds many fingerprints: the code gets shorter as they get denser.
+    """
+    width = owners or shuffle_width(rows.sparkSession)
+    slim = rows.select("fp").coalesce(width)
+    senders = slim.select(F.spark_partition_id().cast("long").alias("part"), "fp")
+    sent = reliable(senders.mapInArrow(_send(width, bits), _MESSAGE_DDL))
     bitmaps = sent.groupBy("owner").applyInArrow(_answer, "owner long, part long, bitmap binary")
     back = sent.join(bitmaps, ["owner", "part"])
-    return reliable(back.mapInArrow(_receive(owners, bits), "fp long").distinct())
+    return reliable(back.mapInArrow(_receive(width, bits), "fp long").distinct())
 
 
 def short_print(digest: Column, bits: int) -> Column:
@@ -165,7 +171,6 @@ def exact_groups(
         id_key(id_col).alias("row_id"),
         text_key(text_col).alias("row_text"),
         digest.alias("text_sha256"),
-        F.spark_partition_id().cast("long").alias("part"),
     )
     rows = reliable(rows.withColumn("fp", short_print(F.col("text_sha256"), bits)))
     suspects = checked_broadcast(suspect_prints(rows, bits))
