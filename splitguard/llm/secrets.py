@@ -198,22 +198,13 @@ def judged_spans(
 def secret_digests(docs: DataFrame, **columns: str) -> DataFrame:
     """One row a document: counts by kind, digest of the base spans, all kept spans."""
     rows, spans = judged_spans(docs, **columns)
-    kept = spans.where((F.col("kind") < 3) | F.col("live"))
-    by_row = kept.groupBy("at", "doc_id").agg(  # bounded by one document
-        F.collect_list(F.struct("start", "kind", "end")).alias("spans"),
-        F.count_if("live").alias("live"),
-        F.count_if(~F.col("live")).alias("copied"),
-    )
-    with_spans = by_row.select(
-        "at", *_digest_columns(F.col("spans"), F.col("live"), F.col("copied"))
+    kept = (F.col("kind") < 3) | F.col("live")
+    by_row = spans.groupBy("at", "doc_id").agg(  # bounded by one document
+        F.collect_list(F.when(kept, F.struct("start", "kind", "end"))).alias("spans"),
+        F.count_if(F.col("live")).alias("live"),
+        F.count_if(kept & ~F.col("live")).alias("copied"),
     )
+    found = by_row.select(*_digest_columns(F.col("spans"), F.col("live"), F.col("copied")))
     none = F.expr("cast(array() as array<struct<start:int,kind:int,end:int>>)")
-    bare = rows.where(F.size("found") == 0).select(
-        *_digest_columns(none, F.lit(0), F.lit(0))
-    )
-    # Rows whose only candidates were judged to be examples of the fourth kind.
-    judged = rows.where(F.size("found") > 0).select("at", "doc_id")
-    left = judged.join(with_spans.select("at"), "at", "left_anti").select(
-        *_digest_columns(none, F.lit(0), F.lit(0))
-    )
-    return bare.unionByName(with_spans.drop("at")).unionByName(left)
+    bare = rows.where(F.size("found") == 0).select(*_digest_columns(none, F.lit(0), F.lit(0)))
+    return bare.unionByName(found)
