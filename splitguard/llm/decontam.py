@@ -27,11 +27,13 @@ from pyspark import cloudpickle
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from splitguard.llm.rows import stretches
+
 WORDS = 10
 #: Bytes of patterns in one compiled set.
 PATTERN_BYTES = 32 * 1024 * 1024
 LANE = 4096
-SLICE_BYTES = 8 * 1024 * 1024
+SLICE_BYTES = 2 * 1024 * 1024
 _CLASSES = (3, 8, 24)  # least pattern lengths of the classes searched apart
 _TABLE_BITS = 22
 
@@ -179,15 +181,11 @@ def judge_texts(texts: list[str | None], sets: list[Patterns]) -> list[tuple[int
     ]
 
 
-def slices(texts: list[str | None]) -> Iterator[tuple[int, int]]:
-    """(start, end) of stretches of at most SLICE_BYTES, or one text."""
-    start, held = 0, 0
-    for i, t in enumerate(texts):
-        if held and held + len(t or "") > SLICE_BYTES:
-            yield start, i
-            start, held = i, 0
-        held += len(t or "")
-    yield start, len(texts)
+def _judge_column(texts: pa.Array, sets: list[Patterns]) -> list[tuple[int, int, list[str]]]:
+    out = []
+    for start, end in stretches(texts, SLICE_BYTES):
+        out += judge_texts(texts.slice(start, end - start).to_pylist(), sets)
+    return out
 
 
 def compile_sets(benchmark: DataFrame, item_col: str, text_col: str, size: int = WORDS):
@@ -233,8 +231,7 @@ def contamination(
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sets = [pickle.loads(s.value) for s in shared]
         for batch in batches:
-            texts = batch.column("text").to_pylist()
-            judged = [x for i, j in slices(texts) for x in judge_texts(texts[i:j], sets)]
+            judged = _judge_column(batch.column("text"), sets)
             digests = [hashlib.sha256(",".join(x[2]).encode()).hexdigest() for x in judged]
             columns = [batch.column(c) for c in names]
             columns += [
@@ -273,8 +270,7 @@ def clean(
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sets = [pickle.loads(s.value) for s in shared]
         for batch in batches:
-            texts = batch.column(text_col).to_pylist()
-            judged = [x for i, j in slices(texts) for x in judge_texts(texts[i:j], sets)]
+            judged = _judge_column(batch.column(text_col), sets)
             yield batch.filter(pa.array([not x[1] for x in judged], pa.bool_()))
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)

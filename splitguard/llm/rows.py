@@ -6,6 +6,10 @@ different texts stay apart. Rows equal in both are repeats of one another.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -29,6 +33,19 @@ def checked_broadcast(df: DataFrame, most: int = BROADCAST_KEYS) -> DataFrame:
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df
 
 
+def stretches(texts: pa.Array, most: int) -> Iterator[tuple[int, int]]:
+    """(start, end) of stretches of at most so many bytes of text, or of one text."""
+    sizes = pc.fill_null(pc.binary_length(texts), 0).to_pylist()
+    start, held = 0, 0
+    for i, size in enumerate(sizes):
+        if held and held + size > most:
+            yield start, i
+            start, held = i, 0
+        held += size
+    if sizes:
+        yield start, len(sizes)
+
+
 def keep_rows(docs: DataFrame, judged: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """docs without the rows judged gone, and one row of each repeated kept key.
 

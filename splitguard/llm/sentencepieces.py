@@ -25,19 +25,22 @@ import pickle
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from itertools import chain, repeat
+from itertools import chain, islice, repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
+
+from splitguard.llm.rows import stretches
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
 UNKNOWN_PENALTY = 10.0
-CACHE_UNITS = 800_000
-BATCH_BYTES = 4 * 1024 * 1024
+#: Units that the store holds; over that, all but the first KEPT_UNITS go. Common units come early.
+CACHE_UNITS = 200_000
+KEPT_UNITS = 100_000
+BATCH_BYTES = 2 * 1024 * 1024
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _SLOT_BITS = 16
 _SLOT_SHIFT = np.uint64(64 - _SLOT_BITS)
@@ -215,7 +218,7 @@ class Encoder:
     def _numbers(self, units: list[str]) -> np.ndarray:
         """Numbers of units in the store, which learns those that it lacks."""
         if len(self.index) > CACHE_UNITS:
-            self.clear()
+            self.trim()
         get = self.index.get
         numbers = np.fromiter(map(get, units, repeat(-1)), np.int64, len(units))
         lacking = np.flatnonzero(numbers < 0)
@@ -231,6 +234,11 @@ class Encoder:
         self.flats: list[np.ndarray] = []
         self._store([""], [self._spelled(SPACE)])
 
+    def trim(self) -> None:
+        size = np.concatenate(self.sizes)[:KEPT_UNITS]
+        self.index = dict(islice(self.index.items(), len(size)))
+        self.sizes, self.flats = [size], [np.concatenate(self.flats)[: size.sum()].copy()]
+
     def encode_batch(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts end to end, number of ids of each text)."""
         split = [units_of(t) for t in texts]
@@ -305,14 +313,8 @@ def encode_texts(
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder(pickle.loads(shared.value))
         for batch in batches:
-            texts = batch.column(text_col).to_pylist()
-            start = 0
-            while start < len(texts):
-                end, held = start, 0
-                while end < len(texts) and (end == start or held + len(texts[end] or "") <= BATCH_BYTES):
-                    held += len(texts[end] or "")
-                    end += 1
-                part = texts[start:end]
+            for start, end in stretches(batch.column(text_col), BATCH_BYTES):
+                part = batch.column(text_col).slice(start, end - start).to_pylist()
                 lists, good = spell(part, encoder)
                 columns = [batch.column(c).slice(start, end - start) for c in kept]
                 counts = [None if x is None else n for x, n in zip(part, lists.value_lengths().to_pylist())]
@@ -322,7 +324,6 @@ def encode_texts(
                 yield pa.RecordBatch.from_arrays(
                     columns, names=[*kept, "ids", "n_pieces", *(["round_trip"] if check else [])]
                 )
-                start = end
 
     schema = "".join(f"`{c}` {types[c]}, " for c in kept) + "ids array<int>, n_pieces long"
     return slim.mapInArrow(kernel, schema + (", round_trip boolean" if check else ""))

@@ -276,6 +276,7 @@ def test_viterbi_is_the_library_s(vocabulary):
 
 def test_cache_may_be_cleared(vocabulary, monkeypatch):
     monkeypatch.setattr(sentencepieces, "CACHE_UNITS", 3)
+    monkeypatch.setattr(sentencepieces, "KEPT_UNITS", 2)
     encoder = sentencepieces.Encoder(vocabulary)
     for text in ("one two three four five", "six seven", "one two"):
         assert sentencepieces.decode(_encode(encoder, [text])[0], vocabulary) == text
