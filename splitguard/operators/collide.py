@@ -50,12 +50,15 @@ def overlap(search: DataFrame, target: DataFrame, sides: str = "oo") -> DataFram
     """
     if sides not in SIDES:
         raise ValueError(f"sides must be one of {SIDES}")
-    wanted = _side(search, sides[0] == "a").select("hash")
+    # Both sides are combined by hash before the join, so a hash is one row of either.
+    wanted = _side(search, sides[0] == "a").groupBy("hash").agg(F.count(F.lit(1)).alias("n"))
     index = _side(target, sides[1] == "a").select("hash").distinct()
-    hits = wanted.join(index, "hash", "left_semi").agg(F.count(F.lit(1)).alias("n_hits"))
-    size = wanted.agg(F.count(F.lit(1)).alias("n_search"))
-    both = size.join(F.broadcast(hits), how="left")  # two rows of one value each
-    return both.select("n_search", "n_hits", overlap_pct(F.col("n_hits"), F.col("n_search")).alias("overlap_pct"))
+    joined = wanted.join(index.withColumn("known", F.lit(True)), "hash", "left")
+    table = joined.agg(
+        F.coalesce(F.sum("n"), F.lit(0)).alias("n_search"),
+        F.coalesce(F.sum(F.when(F.col("known"), F.col("n"))), F.lit(0)).alias("n_hits"),
+    )
+    return table.withColumn("overlap_pct", overlap_pct(F.col("n_hits"), F.col("n_search")))
 
 
 def any_leak(search: DataFrame, target: DataFrame, sides: str = "oa") -> bool:
