@@ -113,7 +113,6 @@ def sanitize(
     priority lists the splits to clean, the one that keeps its images first. The report
     is (split, n_official, n_unique, n_final), one row a split.
     """
-    spark = hashed.sparkSession
     parts = {s: hashed.where(F.col("split") == s) for s in priority}
     unique, final = {}, {}
     for i, s in enumerate(priority):
@@ -137,7 +136,6 @@ def sanitize(
     clean = final[priority[0]]
     for s in priority[1:]:
         clean = clean.unionByName(final[s].select(*clean.columns))
-    assert spark is clean.sparkSession
     return clean, report
 
 
