@@ -39,7 +39,7 @@ _INLINE = frozenset(
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 _HEADINGS = frozenset("h1 h2 h3".split())
 _ROLE = re.compile(
-    r"(?:^|[\s_-])(?:nav|navbar|navigation|menu|header|masthead|footer|sidebar|aside|breadcrumbs?|"
+    r"(?:^|\s|(?<!has)(?<!with)(?<!no)[_-])(?:nav|navbar|navigation|menu|header|masthead|footer|sidebar|aside|breadcrumbs?|"
     r"comments?|disqus|replies|respond|ads?|advert|adverts|advertisement|sponsor|sponsored|promo|banner|"
     r"cookies?|consent|notice|popup|modal|overlay|newsletter|subscribe|signup|social|share|sharing|"
     r"related|recommended|widget|toolbar|pagination|login|search)(?=$|[\s_-]|\d)",
@@ -67,18 +67,21 @@ class Line:
     heading: bool
 
 
-def _boilerplate(name: str, attrs: str) -> bool:
+def _boilerplate(name: str, attrs: str, hints: bool) -> bool:
     if name in _DROPPED:
         return True
-    if not attrs or name in ("html", "body", "article", "main"):
+    if not hints or not attrs or name in ("html", "body", "article", "main"):
         return False
     if _HIDDEN.search(attrs):
         return True
     return any(_ROLE.search(a or b or c) for a, b, c in _HINTS.findall(attrs))
 
 
-def page_lines(page: str) -> list[Line]:
-    """Lines of text, one a block, of what is not boilerplate."""
+def page_lines(page: str, hints: bool = True) -> list[Line]:
+    """Lines of text, one a block, of what is not boilerplate.
+
+    Without hints only the names of elements tell boilerplate, not their attributes.
+    """
     lines: list[Line] = []
     pieces: list[tuple[str, bool]] = []
     at, skipped, skip_depth, links = 0, "", 0, 0
@@ -108,7 +111,7 @@ def page_lines(page: str) -> list[Line]:
                     skipped = ""
             continue
         attrs = m["attrs"]
-        if not closing and name not in _VOID and not attrs.endswith("/") and _boilerplate(name, attrs):
+        if not closing and name not in _VOID and not attrs.endswith("/") and _boilerplate(name, attrs, hints):
             if name not in _INLINE:
                 end_block()
             skipped, skip_depth = name, 1
@@ -158,7 +161,7 @@ def regions(weights: list[int], window: int = WINDOW, surge: int = SURGE) -> lis
 def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> str:
     if not page:
         return ""
-    lines = page_lines(page)
+    lines = page_lines(page) or page_lines(page, hints=False)  # a wrapper may be named after its parts
     if not lines:
         return ""
     weights = [
