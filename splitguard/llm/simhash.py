@@ -268,6 +268,17 @@ def near_duplicates(
     return rows.join(owner, "fp").select("doc_id", "row_text", "fp", "class", "component_id")
 
 
+def keep_least(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """docs with the row of the least id of each class; found: (doc_id, row_text, class) per row."""
+    found = reliable(found)
+    key = F.struct(F.coalesce("doc_id", F.lit(NO_ID)).alias("row_id"), "row_text")
+    best = reliable(found.groupBy("class").agg(F.min(key).alias("best")))
+    judged = found.join(best, "class").select(
+        key["row_id"].alias("row_id"), "row_text", (key == F.col("best")).alias("stays")
+    )
+    return keep_rows(docs, judged, id_col, text_col)
+
+
 def keep_one(
     docs: DataFrame,
     id_col: str = "doc_id",
@@ -276,10 +287,5 @@ def keep_one(
     blocks: int | None = None,
 ) -> DataFrame:
     """docs with one row of each near-duplicate group: the one with the least id."""
-    found = reliable(near_duplicates(docs, id_col, text_col, max_bits, blocks))
-    key = F.struct(F.coalesce("doc_id", F.lit(NO_ID)).alias("row_id"), "row_text")
-    best = reliable(found.groupBy("class").agg(F.min(key).alias("best")))
-    judged = found.join(best, "class").select(
-        key["row_id"].alias("row_id"), "row_text", (key == F.col("best")).alias("stays")
-    )
-    return keep_rows(docs, judged, id_col, text_col)
+    found = near_duplicates(docs, id_col, text_col, max_bits, blocks)
+    return keep_least(docs, found, id_col, text_col)
