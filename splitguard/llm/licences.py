@@ -1,9 +1,10 @@
 """Licence scan: Dice coefficient over word bigrams against licence notices.
 
 Texts and templates are normalised to lower-case words. A template of n bigrams is
-compared with windows of n bigrams of the text. Two size bounds prune templates before
-any comparison: a text with fewer bigrams than t * n / (2 - t) can't reach the
-coefficient t, and neither can one with fewer than t * n occurrences of the template's
+compared with windows of the text that begin and end with one of its bigrams, up to the
+size n * (2 - t) / t beyond which no window reaches the coefficient t, and with windows
+of n bigrams. Two size bounds prune templates before any comparison: a text with fewer
+bigrams than t * n / (2 - t), n without repeats, can't reach the coefficient t, and neither can one with fewer than t * n occurrences of the template's
 bigrams. A window is compared in full only where it holds that many of them.
 
 Defined results: a null or wordless text has no licence; of overlapping windows the one
@@ -132,22 +133,20 @@ class Scanner:
         found = []
         for k, at in hits.items():
             n, own = self.sizes[k], self.bigrams[k]
-            if len(pairs) < self.least * n / (2 - self.least):  # too small for this template
+            if len(pairs) < self.least * len(own) / (2 - self.least) - 1e-9:  # too small for this template
                 continue
-            # A window of at most n bigrams must hold this many different ones of the template.
-            need = self.least * len(own) / (2 - self.least)
+            # A window must hold this many different ones of the template.
+            need = self.least * len(own) / (2 - self.least) - 1e-9
             if len(at) < need:
                 continue
+            most = int(n * (2 - self.least) / self.least + 1e-9)  # no larger window reaches the coefficient
             for i, start in enumerate(at):
-                last = bisect_left(at, start + n, i)
+                last = bisect_left(at, start + most, i)
                 if last - i < need:
                     continue
-                window = set(pairs[start : start + n])
-                tight = set(pairs[start : at[last - 1] + 1])
-                for x, end in ((window, min(start + n, len(pairs))), (tight, at[last - 1] + 1)):
-                    dice = 2 * len(x & own) / (len(x) + len(own))
-                    if dice >= self.least:
-                        found.append((-dice, -n, start, end, self.names[k]))
+                best = self._best_window(pairs, own, at[i:last], min(start + n, len(pairs)))
+                if best[0] >= self.least:
+                    found.append((-best[0], -n, start, best[1], self.names[k]))
         if not found:
             return []
         kept: list[tuple[int, int, float, str]] = []
@@ -162,6 +161,23 @@ class Scanner:
             (name, dice, spots[s][0], spots[e][1]) for s, e, dice, name in sorted(kept)
         ]
 
+    @staticmethod
+    def _best_window(
+        pairs: list[tuple[str, str]], own: frozenset[tuple[str, str]], at: list[int], full: int
+    ) -> tuple[float, int]:
+        """(dice, end) of the best window from at[0] that ends behind one of at, or at full."""
+        seen: set[tuple[str, str]] = set()
+        best, end, shared = (-1.0, 0), at[0], 0
+        for stop in sorted({*(x + 1 for x in at), full}):
+            fresh = set(pairs[end:stop]) - seen
+            seen |= fresh
+            shared += len(fresh & own)
+            end = stop
+            dice = 2 * shared / (len(seen) + len(own))
+            if dice >= best[0]:  # of equal windows the longest
+                best = (dice, stop)
+        return best
+
 
 def scan_licences(
     docs: DataFrame,
