@@ -7,12 +7,15 @@ pattern can end; where the shift is zero, the block itself finds the patterns
 that have it at their end, and these are compared byte by byte. Many lanes of
 text advance together in numpy; a lane is a stretch of a text, never a prefix.
 
-Patterns are compiled in sets of at most PATTERN_BYTES; a benchmark beyond that
-is searched set after set, each broadcast on its own, with the same results.
+Patterns are compiled in sets of about PATTERN_BYTES. A benchmark of more than one set is
+searched set after set: each is broadcast, searched for, and let go before the next, and what
+it finds is kept by row key, so no process holds more than one set. Results are the same.
 
 Defined results: a null or wordless text has no words and no hits; an item of
 fewer words than a window is one window; a wordless item is none; items with one
-id count once; repeated rows give equal results; with no benchmark nothing is hit.
+id count once; items without an id count as one and are not among the ids; very long texts
+are searched whole, in lanes; repeated rows give equal results; with no benchmark nothing is
+hit; an empty table gives an empty result; columns of any other name pass through `clean`.
 """
 
 from __future__ import annotations
@@ -27,7 +30,8 @@ from pyspark import cloudpickle
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitguard.llm.rows import stretches
+from splitguard.functions.runtime import reliable
+from splitguard.llm.rows import apply_keys, id_key, stretches, text_key
 
 WORDS = 10
 #: Bytes of patterns in one compiled set.
@@ -121,14 +125,14 @@ class _Class:
 class Patterns:
     """All windows of some benchmark items, compiled."""
 
-    def __init__(self, items: list[tuple[str, str | None]], size: int = WORDS):
-        found: dict[bytes, tuple[int, set[str]]] = {}
+    def __init__(self, items: list[tuple[str | None, str | None]], size: int = WORDS):
+        found: dict[bytes, tuple[int, set]] = {}
         for item, text in items:
             for window, n in windows_of(text, size):
                 found.setdefault(window, (n, set()))[1].add(item)
         self.windows = sorted(found)
         self.lengths = [found[w][0] for w in self.windows]
-        self.items = [sorted(found[w][1]) for w in self.windows]
+        self.items = [found[w][1] for w in self.windows]
         self.classes = []
         for least, beyond in zip(_CLASSES, (*_CLASSES[1:], 1 << 62)):
             numbers = [i for i, w in enumerate(self.windows) if least <= len(w) < beyond]
@@ -151,63 +155,161 @@ class Patterns:
         return np.concatenate(starts), np.concatenate(numbers)
 
 
-def judge_texts(texts: list[str | None], sets: list[Patterns]) -> list[tuple[int, int, list[str]]]:
-    """(words, hit words, ids of items with an occurring window) of each text."""
-    split = [words_of(t) for t in texts]
-    bodies = [b" " + b" ".join(w) + b" \n" for w in split]
-    text = b"".join(bodies)
-    sizes = np.fromiter(map(len, bodies), np.int64, len(bodies))
-    begins = np.concatenate(([0], np.cumsum(sizes)))
-    spaces = np.flatnonzero(np.frombuffer(text, np.uint8) == 32)
-    cover = np.zeros(len(spaces) + 1, np.int64)
-    items: dict[int, set[str]] = {}
+class _Bodies:
+    """Some texts as one padded string of words."""
+
+    def __init__(self, texts: list[str | None]):
+        split = [words_of(t) for t in texts]
+        self.counts = [len(w) for w in split]
+        bodies = [b" " + b" ".join(w) + b" \n" for w in split]
+        del split
+        self.text = b"".join(bodies)
+        self.begins = np.concatenate(([0], np.cumsum(np.fromiter(map(len, bodies), np.int64, len(bodies)))))
+        self.spaces = np.flatnonzero(np.frombuffer(self.text, np.uint8) == 32)
+
+    def occurrences(self, patterns: Patterns) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(number of the first word, text, window) of each occurrence; words are counted over all texts."""
+        at, number = patterns.occurrences(self.text)
+        return np.searchsorted(self.spaces, at), np.searchsorted(self.begins, at, "right") - 1, number
+
+
+def _items(docs: np.ndarray, number: np.ndarray, patterns: Patterns, found: dict[int, set]) -> None:
+    for key in np.unique(docs * len(patterns.windows) + number).tolist():
+        doc, k = divmod(key, len(patterns.windows))
+        found.setdefault(doc, set()).update(patterns.items[k])
+
+
+def judge_texts(texts: list[str | None], sets: list[Patterns]) -> list[tuple[int, int, int, list[str]]]:
+    """(words, hit words, items with an occurring window, their ids) of each text."""
+    bodies = _Bodies(texts)
+    cover = np.zeros(len(bodies.spaces) + 1, np.int64)
+    items: dict[int, set] = {}
     for patterns in sets:
-        at, number = patterns.occurrences(text)
-        if not len(at):
-            continue
-        word = np.searchsorted(spaces, at)
-        lengths = np.array(patterns.lengths)[number]
-        np.add.at(cover, word, 1)
-        np.add.at(cover, word + lengths, -1)
-        docs = np.searchsorted(begins, at, "right") - 1
-        for key in np.unique(docs * len(patterns.windows) + number).tolist():
-            doc, k = divmod(key, len(patterns.windows))
-            items.setdefault(doc, set()).update(patterns.items[k])
+        word, docs, number = bodies.occurrences(patterns)
+        if len(word):
+            np.add.at(cover, word, 1)
+            np.add.at(cover, word + np.array(patterns.lengths)[number], -1)
+            _items(docs, number, patterns, items)
     hit = np.concatenate(([0], np.cumsum(np.cumsum(cover)[:-1] > 0)))
-    bounds = np.searchsorted(spaces, begins)
+    bounds = np.searchsorted(bodies.spaces, bodies.begins)
     hits = hit[bounds[1:]] - hit[bounds[:-1]]
     return [
-        (len(w), int(h), sorted(items.get(i, ()))) for i, (w, h) in enumerate(zip(split, hits))
+        (n, int(h), len(items.get(i, ())), _ids(items.get(i, ())))
+        for i, (n, h) in enumerate(zip(bodies.counts, hits))
     ]
 
 
-def _judge_column(texts: pa.Array, sets: list[Patterns]) -> list[tuple[int, int, list[str]]]:
-    out = []
+def _ids(items) -> list[str]:
+    return sorted(x for x in items if x is not None)
+
+
+def hit_spans(texts: list[str | None], patterns: Patterns) -> dict[int, tuple[list[tuple[int, int]], set]]:
+    """text's number -> (runs of hit words, items) of the texts that have any."""
+    bodies = _Bodies(texts)
+    word, docs, number = bodies.occurrences(patterns)
+    items: dict[int, set] = {}
+    if not len(word):
+        return {}
+    _items(docs, number, patterns, items)
+    first = np.searchsorted(bodies.spaces, bodies.begins)[docs]
+    spans: dict[int, list[tuple[int, int]]] = {}
+    ends = word + np.array(patterns.lengths)[number] - first
+    for doc, s, e in sorted(zip(docs.tolist(), (word - first).tolist(), ends.tolist())):
+        own = spans.setdefault(doc, [])
+        if own and s <= own[-1][1]:
+            own[-1] = (own[-1][0], max(e, own[-1][1]))
+        else:
+            own.append((s, e))
+    return {doc: (own, items[doc]) for doc, own in spans.items()}
+
+
+def _by_slice(texts: pa.Array, judge) -> Iterator[tuple[int, object]]:
+    """(start, judge(texts)) of stretches of a column."""
     for start, end in stretches(texts, SLICE_BYTES):
-        out += judge_texts(texts.slice(start, end - start).to_pylist(), sets)
-    return out
-
+        yield start, judge(texts.slice(start, end - start).to_pylist())
 
-def compile_sets(benchmark: DataFrame, item_col: str, text_col: str, size: int = WORDS):
-    """Broadcast Patterns of the benchmark, in sets of a checked size.
 
-    Items are read set by set in the order of a running total, so neither the driver
-    nor an executor compiles more than PATTERN_BYTES of them at a time.
-    """
-    spark = benchmark.sparkSession
+def pattern_sets(benchmark: DataFrame, item_col: str, text_col: str, size: int = WORDS):
+    """(number of sets, maker of the k-th one): Patterns of the benchmark, in sets of a checked size."""
     items = benchmark.select(
         F.col(item_col).cast("string").alias("item"), F.col(text_col).alias("text")
-    ).where(F.col("item").isNotNull() & F.col("text").isNotNull())
+    ).where(F.col("text").isNotNull())
     # A window repeats a text's bytes once for each of its words.
     weight = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0] * size
     parts = max(1, -(-int(weight) // PATTERN_BYTES))
     part = F.pmod(F.xxhash64("item", "text"), F.lit(parts))
-    sets = []
-    for k in range(parts):
+
+    def make(k: int):
         rows = (items if parts == 1 else items.where(part == k)).collect()
         compiled = Patterns([(r["item"], r["text"]) for r in rows], size)
-        sets.append(spark.sparkContext.broadcast(cloudpickle.dumps(compiled)))
-    return sets
+        return benchmark.sparkSession.sparkContext.broadcast(cloudpickle.dumps(compiled))
+
+    return parts, make
+
+
+def _found_by_set(keyed: DataFrame, parts: int, make) -> DataFrame:
+    """(row_id, row_text, spans, items) of rows (row_id, row_text, text) with hits, a row a set."""
+    found = None
+    for k in range(parts):
+        shared = make(k)
+
+        def kernel(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            patterns = pickle.loads(shared.value)
+            schema = pa.schema(
+                [("row_id", pa.int64()), ("row_text", pa.int64()),
+                 ("spans", pa.list_(pa.struct([("s", pa.int64()), ("e", pa.int64())]))), ("items", pa.list_(pa.string()))]
+            )
+            for batch in batches:
+                ids, texts = batch.column("row_id"), batch.column("row_text")
+                rows = [
+                    {"row_id": ids[start + i].as_py(), "row_text": texts[start + i].as_py(),
+                     "spans": [{"s": s, "e": e} for s, e in spans], "items": list(items)}
+                    for start, hits in _by_slice(batch.column("text"), lambda t: hit_spans(t, patterns))
+                    for i, (spans, items) in hits.items()
+                ]
+                yield pa.RecordBatch.from_pylist(rows, schema=schema)
+
+        schema = "row_id long, row_text long, spans array<struct<s: long, e: long>>, items array<string>"
+        own = reliable(keyed.mapInArrow(kernel, schema).dropDuplicates(["row_id", "row_text"]))
+        shared.unpersist()
+        found = own if found is None else found.unionByName(own)
+    return found
+
+
+def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(
+        id_key(id_col).alias("row_id"), text_key(text_col).alias("row_text"), F.col(text_col).alias("text")
+    )
+
+
+def _joined_sets(docs, id_col, text_col, keep, parts, make) -> DataFrame:
+    """contamination() set after set."""
+    found = _found_by_set(_keyed(docs, id_col, text_col), parts, make)
+    found = found.groupBy("row_id", "row_text").agg(  # bounded by one document and its items
+        F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"),
+        F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"),
+    )
+    union = F.aggregate(
+        "spans",
+        F.struct(F.lit(0).cast("long").alias("upto"), F.lit(0).cast("long").alias("n")),
+        lambda a, x: F.struct(
+            F.greatest(a["upto"], x["e"]).alias("upto"),
+            (a["n"] + F.greatest(F.lit(0), x["e"] - F.greatest(a["upto"], x["s"]))).alias("n"),
+        ),
+    )
+    found = found.select("row_id", "row_text", union["n"].alias("n_hit"), "items")
+    names = [F.col(id_col).cast("long").alias("doc_id"), *keep]
+    # ASCII capitals are letters too: they make no other words than their small ones.
+    words = F.regexp_count(F.coalesce(F.col(text_col), F.lit("")), F.lit(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"))
+    rows = docs.select(*names, id_key(id_col).alias("row_id"), text_key(text_col).alias("row_text"),
+                       words.cast("long").alias("n_words"))
+    ids = F.coalesce(F.array_sort(F.filter("items", lambda x: x.isNotNull())), F.expr("cast(array() as array<string>)"))
+    hits = F.coalesce("n_hit", F.lit(0).cast("long"))
+    return rows.join(reliable(found), ["row_id", "row_text"], "left").select(
+        "doc_id", *keep, "n_words", hits.alias("n_hit"),
+        F.when(F.col("items").isNull(), 0).otherwise(F.size("items")).cast("long").alias("n_items"),
+        ids.alias("items"), F.sha2(F.array_join(ids, ","), 256).alias("items_sha256"), (hits > 0).alias("contaminated"),
+    )
 
 
 def contamination(
@@ -221,7 +323,10 @@ def contamination(
     keep: tuple[str, ...] = (),
 ) -> DataFrame:
     """(doc_id, keep..., n_words, n_hit, n_items, items, items_sha256, contaminated) per row."""
-    shared = compile_sets(benchmark, item_col, item_text_col, size)
+    parts, make = pattern_sets(benchmark, item_col, item_text_col, size)
+    if parts > 1:
+        return _joined_sets(docs, id_col, text_col, keep, parts, make)
+    shared = make(0)
     slim = docs.select(
         F.col(id_col).cast("long").alias("doc_id"), *keep, F.col(text_col).alias("text")
     )
@@ -229,16 +334,16 @@ def contamination(
     types = dict(slim.dtypes)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sets = [pickle.loads(s.value) for s in shared]
+        sets = [pickle.loads(shared.value)]
         for batch in batches:
-            judged = _judge_column(batch.column("text"), sets)
-            digests = [hashlib.sha256(",".join(x[2]).encode()).hexdigest() for x in judged]
+            judged = [x for _, part in _by_slice(batch.column("text"), lambda t: judge_texts(t, sets)) for x in part]
+            digests = [hashlib.sha256(",".join(x[3]).encode()).hexdigest() for x in judged]
             columns = [batch.column(c) for c in names]
             columns += [
                 pa.array([x[0] for x in judged], pa.int64()),
                 pa.array([x[1] for x in judged], pa.int64()),
-                pa.array([len(x[2]) for x in judged], pa.int64()),
-                pa.array([x[2] for x in judged], pa.list_(pa.string())),
+                pa.array([x[2] for x in judged], pa.int64()),
+                pa.array([x[3] for x in judged], pa.list_(pa.string())),
                 pa.array(digests, pa.string()),
                 pa.array([x[1] > 0 for x in judged], pa.bool_()),
             ]
@@ -255,6 +360,7 @@ def contamination(
 def clean(
     docs: DataFrame,
     benchmark: DataFrame,
+    id_col: str = "doc_id",
     text_col: str = "text",
     item_col: str = "item_id",
     item_text_col: str = "text",
@@ -262,15 +368,21 @@ def clean(
 ) -> DataFrame:
     """docs without the rows that hold a window of an item; columns stay as they are.
 
-    Nothing is shuffled: texts go through the search once and come back with a mark.
+    With one set nothing is shuffled: texts go through the search once and come back with a
+    mark. With more, only the keys of hit rows are gathered and their rows dropped.
     """
-    shared = compile_sets(benchmark, item_col, item_text_col, size)
+    parts, make = pattern_sets(benchmark, item_col, item_text_col, size)
+    if parts > 1:
+        keyed = _keyed(docs, id_col, text_col)
+        gone = _found_by_set(keyed, parts, make).select("row_id", "row_text").distinct()
+        return apply_keys(docs, reliable(gone.withColumn("stays", F.lit(False))), id_col, text_col)
+    shared = make(0)
     names = docs.columns
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sets = [pickle.loads(s.value) for s in shared]
+        sets = [pickle.loads(shared.value)]
         for batch in batches:
-            judged = _judge_column(batch.column(text_col), sets)
+            judged = [x for _, part in _by_slice(batch.column(text_col), lambda t: judge_texts(t, sets)) for x in part]
             yield batch.filter(pa.array([not x[1] for x in judged], pa.bool_()))
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)

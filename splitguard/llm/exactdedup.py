@@ -8,12 +8,14 @@
 3. An owner answers each message with a bitmap: which of these fingerprints
    occur elsewhere or more than once.
 4. Partitions decode the bitmaps against their messages; the fingerprints that
-   are set are suspects. Only texts of suspects are shuffled, grouped by their
+   are set are suspects, and a bitmap of them goes back to all partitions. Only
+   texts whose bit is set are shuffled, grouped by their
    whole text with map-side combining, so a text with very many copies
    leaves each task once. The bytes decide; a fingerprint never does.
 
 Fingerprints are short (48 bits) on purpose: chance matches cost a needless
-verification, never a wrong result.
+verification, never a wrong result. Owners and senders are as many as the rows ask for, so
+none holds more than about OWNER_ROWS fingerprints at any size of the table.
 
 Defined results: a null text counts as empty; texts that differ only in runs of
 ASCII white space are equal; the least (id, text hash) of a group stays, and of
@@ -29,10 +31,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from splitguard.functions.runtime import reliable, shuffle_width
-from splitguard.llm.rows import NO_ID, checked_broadcast, id_key, keep_rows, text_key
+from splitguard.functions.runtime import join_by_key, reliable, shuffle_width
+from splitguard.llm.rows import NO_ID, bitmap_of, fresh, id_key, keep_rows, text_key
 
 BITS = 48
+#: Fingerprints that an owner or a sender holds, about.
+OWNER_ROWS = 4_000_000
 WHITE = r"[\x20\x09-\x0D]+"
 
 
@@ -110,7 +114,7 @@ _MESSAGE_DDL = "owner long, part long, n long, k long, code binary, again binary
 
 
 def _answer(key, table):
-    """Bitmaps of one owner. Its messages are compressed sets of at most range/partitions size."""
+    """Bitmaps of one owner, which holds about OWNER_ROWS fingerprints."""
     sent = table.to_pylist()
     sets = [rice_decode(m["n"], m["k"], m["code"]) for m in sent]
     values, holders = np.unique(np.concatenate(sets), return_counts=True)
@@ -141,13 +145,14 @@ def _receive(owners: int, bits: int):
     return kernel
 
 
-def suspect_prints(rows: DataFrame, bits: int = BITS, owners: int | None = None) -> DataFrame:
-    """Distinct fingerprints that occur more than once in rows (fp, ...), a checkpointed table.
+def suspect_prints(rows: DataFrame, bits: int = BITS, owner_rows: int = OWNER_ROWS) -> DataFrame:
+    """Distinct fingerprints that occur more than once in the checkpointed rows (fp, ...).
 
-    There are as many owners as shuffle partitions and no more senders, so that a message
-    holds many fingerprints: the code gets shorter as they get denser.
+    There is an owner for every owner_rows rows, and at least one a shuffle partition. There
+    are no more senders than owners, so that a message holds many fingerprints: the code gets
+    shorter as they get denser. A sender holds one partition of rows, or a few small ones.
     """
-    width = owners or shuffle_width(rows.sparkSession)
+    width = max(shuffle_width(rows.sparkSession), -(-rows.count() // owner_rows))
     slim = rows.select("fp").coalesce(width)
     senders = slim.select(F.spark_partition_id().cast("long").alias("part"), "fp")
     sent = reliable(senders.mapInArrow(_send(width, bits), _MESSAGE_DDL))
@@ -173,15 +178,13 @@ def exact_groups(
         digest.alias("text_sha256"),
     )
     rows = reliable(rows.withColumn("fp", short_print(F.col("text_sha256"), bits)))
-    suspects = checked_broadcast(suspect_prints(rows, bits))
+    suspects = bitmap_of(suspect_prints(rows, bits), "fp")
 
     # Only suspects' texts are shuffled; equal texts are combined before that.
-    texts = docs.select(normal_text(text_col).alias("body")).withColumn(
-        "fp", short_print(F.sha2("body", 256), bits)
-    )
+    bodies = docs.select(normal_text(text_col).alias("body"))
+    texts, _ = suspects.split(bodies, short_print(F.sha2("body", 256), bits))
     same = (
-        texts.join(suspects, "fp", "left_semi")
-        .groupBy("body")
+        texts.groupBy("body")
         .agg(F.count(F.lit(1)).alias("copies"))
         .where("copies > 1")
         .select(F.sha2("body", 256).alias("text_sha256"))
@@ -198,7 +201,8 @@ def exact_groups(
     sizes = reliable(
         sizes.where("group_size > 1").join(verified, "text_sha256", "left_semi")
     )
-    return rows.join(sizes, "text_sha256", "left").select(
+    sizes = sizes.withColumn("n", F.col("group_size"))
+    return join_by_key(rows, sizes, ["text_sha256"], how="left").select(
         "doc_id",
         "row_id",
         "row_text",
@@ -225,14 +229,13 @@ def first_of_repeats(groups: DataFrame) -> DataFrame:
     twice = reliable(twice.select("text_sha256"))
     if not twice.limit(1).count():
         return groups
-    numbered = reliable(groups.withColumn("__at", F.monotonically_increasing_id()))
-    first = numbered.where("kept").groupBy("text_sha256").agg(F.min("__at").alias("__first"))
-    first = reliable(first)
-    return (
-        numbered.join(first, "text_sha256", "left")
-        .withColumn("kept", F.col("kept") & (F.col("__at") == F.col("__first")))
-        .drop("__at", "__first")
+    at, first = fresh("at", groups), fresh("first", groups)
+    numbered = reliable(groups.withColumn(at, F.monotonically_increasing_id()))
+    firsts = numbered.groupBy("text_sha256").agg(
+        F.min(F.when(F.col("kept"), F.col(at))).alias(first), F.count(F.lit(1)).alias("n")
     )
+    marked = join_by_key(numbered, reliable(firsts), ["text_sha256"])
+    return marked.withColumn("kept", F.col("kept") & (F.col(at) == F.col(first))).drop(at, first)
 
 
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -4,17 +4,23 @@ Every language has a raw-content zstandard dictionary made of labelled texts. A
 text is encoded with each and belongs to the language whose dictionary gives
 the smallest size; where the margin to the runner-up is narrow, it is rejected.
 Texts are reduced to lower-case words of letters first: digits, marks and capitals
-cost bytes that say little about the language. The encoder stores a block as it
-is unless that saves some bytes, which would make all sizes of a short text
-equal; so a short text follows a primer that the dictionary already holds.
-
-The dictionaries are fitted on a bounded sample: for each language, the first
-PIECE_BYTES of about SAMPLE_TEXTS texts, in the order of a hash of their content, until `dictionary_bytes` are filled (parameter,
-128 KiB by default). Everything else covers every row and every whole text.
+cost bytes that say little about the language. The whole of a text is encoded, as stretches
+of at most STRETCH bytes, each on its own, and the sizes are added: a dictionary helps the
+start of a stretch most, so the margin doesn't fade with the length of the text. The encoder
+stores a block as it is unless that saves some bytes, which would make all sizes of a short
+one equal; so every stretch follows a primer that the dictionary already holds.
+
+The dictionaries are fitted on a bounded sample. Labelled texts are cut, whole, into pieces
+of PIECE_CHARS characters; the different pieces of a language whose hash is under a bound are
+taken, about SAMPLE_PIECES of them (the bound follows from the number of different pieces, so
+repeated texts neither crowd out others nor leave a language without any), and fill the
+dictionary in the order of the hash up to `dictionary_bytes` (parameter, 128 KiB by default).
 
 Defined results: a null text, or one without a letter, is `und` with score 0 and is
 rejected; equal sizes are settled by the order of the language names and give
-score 0; repeated rows are predicted alike; with no labelled rows all are `und`.
+score 0; very long texts are judged whole, a stretch at a time; repeated rows are predicted
+alike; with no labelled rows all are `und`; an empty table gives an empty result; columns of
+any other name pass through `keep_recognised`.
 """
 
 from __future__ import annotations
@@ -27,17 +33,19 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from splitguard.llm.rows import fresh
+
 DICTIONARY_BYTES = 128 * 1024
-#: Texts of one language looked at to fill its dictionary; each gives at most PIECE_BYTES.
-SAMPLE_TEXTS = 600
-PIECE_BYTES = 2048
+#: Different pieces of a language's texts that reach the driver, about.
+SAMPLE_PIECES = 600
+PIECE_CHARS = 2048
 LEVEL = 9
 #: Least margin, as a share of the runner-up's size, that is not rejected.
 MARGIN = 0.002
 UNKNOWN = "und"
 PRIMER_BYTES = 512
+STRETCH = 8192
 _HASHES = 1 << 40
-SHORT_BYTES = 600
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -55,26 +63,35 @@ def has_letter(text: Column) -> Column:
     return F.coalesce(text.rlike(r"\p{L}"), F.lit(False))
 
 
+def _pieces(labelled: DataFrame, chars: int) -> DataFrame:
+    """(lang, piece, h): all texts cut into pieces; h is a hash in 0.._HASHES - 1."""
+    cut = F.regexp_extract_all("text", F.lit(rf"(?s).{{1,{chars}}}"), F.lit(0))
+    pieces = labelled.where(F.col("lang").isNotNull()).select("lang", F.explode(cut).alias("piece"))
+    return pieces.select("lang", "piece", F.pmod(F.xxhash64("piece"), F.lit(_HASHES)).alias("h"))
+
+
 def learn_dictionaries(
-    labelled: DataFrame, dictionary_bytes: int = DICTIONARY_BYTES
+    labelled: DataFrame,
+    dictionary_bytes: int = DICTIONARY_BYTES,
+    sample_pieces: int = SAMPLE_PIECES,
+    piece_chars: int = PIECE_CHARS,
 ) -> dict[str, bytes]:
     """Raw content per language from rows (text, lang).
 
-    About SAMPLE_TEXTS pieces of PIECE_BYTES characters a language reach the driver: those whose
-    content hash is under a bound set from the number of rows of the language. Equal
-    pieces count once, before they are shuffled, and the order is that of the hash.
+    Equal pieces are combined before they are shuffled, so a text that fills a third of the
+    table leaves each task once.
     """
-    labelled = labelled.where(F.col("lang").isNotNull())
-    counts = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()
+    pieces = _pieces(labelled, piece_chars).where(has_letter(F.col("piece")))
+    counts = pieces.groupBy("lang").agg(F.approx_count_distinct("h").alias("n")).collect()  # a row a language
     if not counts:
         return {}
     bounds = [
-        x for r in counts for x in (F.lit(r["lang"]), F.lit(min(_HASHES, SAMPLE_TEXTS * _HASHES // r["n"])))
+        x
+        for r in counts
+        for x in (F.lit(r["lang"]), F.lit(min(_HASHES, sample_pieces * _HASHES // max(1, r["n"]))))
     ]
     rows = (
-        labelled.select("lang", F.substring("text", 1, PIECE_BYTES).alias("piece"))
-        .withColumn("h", F.pmod(F.xxhash64("piece"), F.lit(_HASHES)))
-        .where((F.col("h") < F.create_map(*bounds)[F.col("lang")]) & has_letter(F.col("piece")))
+        pieces.where(F.col("h") < F.create_map(*bounds)[F.col("lang")])
         .dropDuplicates(["lang", "h"])
         .collect()
     )
@@ -112,9 +129,10 @@ class Recogniser:
 
     def sizes(self, text: str) -> list[int]:
         data = letters_only(text)
-        if len(data) < SHORT_BYTES:
-            return [len(compress(primer + data)) for compress, primer in self.encoders]
-        return [len(compress(data)) for compress, _ in self.encoders]
+        parts = [data[i : i + STRETCH] for i in range(0, len(data), STRETCH)]
+        return [
+            sum(len(compress(primer + part)) for part in parts) for compress, primer in self.encoders
+        ]
 
     def judge(self, text: str) -> tuple[str, float]:
         """(language, margin): how much smaller the best is than the runner-up, as a share."""
@@ -176,16 +194,16 @@ def keep_recognised(
     shared = docs.sparkSession.sparkContext.broadcast(dictionaries)
     names = docs.columns
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
+    mark = fresh("lettered", docs)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         judge = Recogniser(shared.value).judge
         for batch in batches:
-            lettered = batch.column("__lettered").to_pylist()
-            found = _judged(batch.column(text_col), lettered, judge)
+            found = _judged(batch.column(text_col), batch.column(mark).to_pylist(), judge)
             clear = pa.array([p != UNKNOWN and s >= margin for p, s in found], pa.bool_())
             yield batch.select(names).filter(clear)
 
-    marked = docs.select("*", has_letter(F.col(text_col)).alias("__lettered"))
+    marked = docs.select("*", has_letter(F.col(text_col)).alias(mark))
     return marked.mapInArrow(kernel, schema)
 
 

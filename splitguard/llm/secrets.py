@@ -2,15 +2,16 @@
 
 Candidates are found in the whole of every text. Their values are hashed and
 counted over the corpus by distinct repositories and owners: a value seen under
-many owners is a widely copied example, one seen under few is owner-specific
-and looks live. Three kinds of candidates always count (assign, access, hex). A
+many owners, or in very many repositories of a few, is a widely copied example; one seen
+under few is owner-specific and looks live. Three kinds of candidates always count (assign, access, hex). A
 fourth, long tokens of mixed letters and digits with no keyword beside them,
 counts only where the ownership frequency says that it looks live; this is
 what the corpus-wide step adds.
 
 Spans are kind:start:end in code points, end exclusive. Defined results: a null
 text is empty; a null source is an owner of its own; repeated rows are judged
-each on its own; an empty table gives an empty result.
+each on its own; very long texts are scanned whole, and a text with very many spans takes time
+in proportion to them; an empty table gives an empty result; other columns are ignored.
 
 How positions come from built-in functions: a pattern is matched together with
 the gap before it, anchored where the last match ended, so match lengths add up
@@ -20,10 +21,10 @@ matches from quadratic work.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from splitguard.functions.runtime import bind, reliable
+from splitguard.functions.runtime import bind, join_by_key, reliable
 
 # The patterns and least lengths of the result's contract.
 ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -35,6 +36,8 @@ LEAST_VALUE = 8
 MIXED = r"[A-Za-z0-9]{20,}"
 #: A value under more owners than this is a widely copied example.
 LIVE_OWNERS = 2
+#: So is one in more repositories than this, whoever owns them.
+LIVE_REPOS = 25
 _BLOCK = 256
 
 
@@ -110,21 +113,26 @@ def candidates(text: Column) -> Column:
         spans_of(text, MIXED, 3, False),
         lambda s: s["value"].rlike("[a-z]") & s["value"].rlike("[A-Z]") & s["value"].rlike("[0-9]"),
     )
-    base = F.concat(
-        assign, spans_of(text, ACCESS, 1, False), spans_of(text, HEX, 2, False)
-    )
-    return bind(
-        F.struct(base.alias("base"), mixed.alias("mixed")),
-        lambda f: F.concat(
-            f["base"],
-            F.filter(  # what a base span covers is not found twice
-                f["mixed"],
-                lambda m: ~F.exists(
-                    f["base"], lambda b: (b["start"] < m["end"]) & (m["start"] < b["end"])
-                ),
-            ),
-        ),
+    return F.concat(assign, spans_of(text, ACCESS, 1, False), spans_of(text, HEX, 2, False), mixed)
+
+
+def _uncovered(spans: DataFrame) -> DataFrame:
+    """Rows (at, start, kind, end, ...) without the mixed spans that overlap a base span of their text.
+
+    Sorted by start, the furthest end of the base spans so far and the nearest start of those
+    to come tell it, so a text is gone through twice, whatever its number of spans.
+    """
+    text = Window.partitionBy("at")
+    so_far = text.orderBy("start", "kind").rowsBetween(Window.unboundedPreceding, 0)
+    to_come = text.orderBy(F.desc("start"), F.desc("kind")).rowsBetween(Window.unboundedPreceding, 0)
+    is_base = F.col("kind") < 3
+    marked = spans.select(
+        "*",
+        F.max(F.when(is_base, F.col("end"))).over(so_far).alias("reach"),
+        F.min(F.when(is_base, F.col("start"))).over(to_come).alias("following"),
     )
+    covered = (F.coalesce("reach", F.lit(0)) > F.col("start")) | (F.coalesce(F.col("following") < F.col("end"), F.lit(False)))
+    return marked.where(is_base | ~covered).drop("reach", "following")
 
 
 def _joined(spans: Column) -> Column:
@@ -138,7 +146,7 @@ def _joined(spans: Column) -> Column:
     )
 
 
-def _digest_columns(spans: Column, live: Column, copied: Column) -> list[Column]:
+def _digest_columns(spans: Column, *counts: Column) -> list[Column]:
     """Result columns from array<struct<start, kind, end>> of all kept spans."""
 
     def count(kind: int) -> Column:
@@ -152,17 +160,18 @@ def _digest_columns(spans: Column, live: Column, copied: Column) -> list[Column]
         count(2).alias("n_hex"),
         F.sha2(_joined(base), 256).alias("base_sha256"),
         _joined(spans).alias("spans"),
-        live.cast("long").alias("n_live"),
-        copied.cast("long").alias("n_copied"),
+        *[c.cast("long").alias(name) for c, name in zip(counts, ("n_live", "n_copied", "most_owners", "most_repos"))],
     ]
 
 
 def ownership(found: DataFrame) -> DataFrame:
-    """(digest, n_repos, n_owners) from rows (digest, repo, owner), in three combined steps."""
+    """(digest, n_repos, n_owners, n) from rows (digest, repo, owner), in three combined steps."""
     per_repo = found.groupBy("digest", "owner", "repo").agg(F.count(F.lit(1)).alias("n"))
-    per_owner = per_repo.groupBy("digest", "owner").agg(F.count(F.lit(1)).alias("repos"))
+    per_owner = per_repo.groupBy("digest", "owner").agg(
+        F.count(F.lit(1)).alias("repos"), F.sum("n").alias("rows")
+    )
     return per_owner.groupBy("digest").agg(
-        F.sum("repos").alias("n_repos"), F.count(F.lit(1)).alias("n_owners")
+        F.sum("repos").alias("n_repos"), F.count(F.lit(1)).alias("n_owners"), F.sum("rows").alias("n")
     )
 
 
@@ -172,6 +181,7 @@ def judged_spans(
     text_col: str = "text",
     repo_col: str = "source",
     live_owners: int = LIVE_OWNERS,
+    live_repos: int = LIVE_REPOS,
 ) -> tuple[DataFrame, DataFrame]:
     """(rows, spans): rows (at, doc_id, n) for every input row, spans (at, start, kind, end, live, ...).
 
@@ -189,22 +199,25 @@ def judged_spans(
         "at", "doc_id", "repo", "owner", "s.start", "s.kind", "s.end",
         F.sha2("s.value", 256).alias("digest"),
     )
-    found = reliable(found)
+    found = reliable(_uncovered(found))
     owned = reliable(ownership(found))
-    spans = found.join(owned, "digest").withColumn("live", F.col("n_owners") <= live_owners)
-    return rows, spans
+    live = (F.col("n_owners") <= live_owners) & (F.col("n_repos") <= live_repos)
+    return rows, join_by_key(found, owned, ["digest"]).withColumn("live", live)
 
 
 def secret_digests(docs: DataFrame, **columns: str) -> DataFrame:
-    """One row a document: counts by kind, digest of the base spans, all kept spans."""
+    """One row a document: counts by kind, digest of the base spans, all kept spans, how many of
+    them look live or copied, and the most owners and repositories that any of its values has."""
     rows, spans = judged_spans(docs, **columns)
     kept = (F.col("kind") < 3) | F.col("live")
     by_row = spans.groupBy("at", "doc_id").agg(  # bounded by one document
         F.collect_list(F.when(kept, F.struct("start", "kind", "end"))).alias("spans"),
         F.count_if(F.col("live")).alias("live"),
         F.count_if(kept & ~F.col("live")).alias("copied"),
+        F.max("n_owners").alias("owners"),
+        F.max("n_repos").alias("repos"),
     )
-    found = by_row.select(*_digest_columns(F.col("spans"), F.col("live"), F.col("copied")))
+    found = by_row.select(*_digest_columns(*map(F.col, ("spans", "live", "copied", "owners", "repos"))))
     none = F.expr("cast(array() as array<struct<start:int,kind:int,end:int>>)")
-    bare = rows.where(F.size("found") == 0).select(*_digest_columns(none, F.lit(0), F.lit(0)))
+    bare = rows.where(F.size("found") == 0).select(*_digest_columns(none, *[F.lit(0)] * 4))
     return bare.unionByName(found)

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitguard.functions.runtime import reliable
+from splitguard.functions.runtime import join_by_key, reliable
 from splitguard.llm.rows import NO_ID, keep_rows, text_key
 from splitguard.operators.components import connected_components
 
@@ -255,25 +255,27 @@ def near_duplicates(
     component_id is the least doc_id reachable; class names the component by a fingerprint.
     """
     rows = reliable(fingerprints(docs, id_col, text_col))
-    prints = reliable(rows.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    prints = reliable(rows.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")))
     nodes = connected_components(print_links(prints, max_bits, blocks), "a", "b")
     # A fingerprint without links is a class of its own.
     classed = reliable(
         prints.join(nodes.withColumnRenamed("node", "fp"), "fp", "left").select(
-            "fp", "least", F.coalesce("component", "fp").alias("class")
+            "fp", "least", "n", F.coalesce("component", "fp").alias("class")
         )
     )
-    least = reliable(classed.groupBy("class").agg(F.min("least").alias("component_id")))
-    owner = reliable(classed.join(least, "class").select("fp", "component_id", "class"))
-    return rows.join(owner, "fp").select("doc_id", "row_text", "fp", "class", "component_id")
+    # `prints` counts a class's fingerprints, n a fingerprint's rows; either may be a hot key.
+    least = classed.groupBy("class").agg(F.min("least").alias("component_id"), F.count(F.lit(1)).alias("prints"))
+    owner = join_by_key(classed.drop("least"), reliable(least), ["class"], "prints")
+    found = join_by_key(rows, reliable(owner), ["fp"])
+    return found.select("doc_id", "row_text", "fp", "class", "component_id")
 
 
 def keep_least(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """docs with the row of the least id of each class; found: (doc_id, row_text, class) per row."""
     found = reliable(found)
     key = F.struct(F.coalesce("doc_id", F.lit(NO_ID)).alias("row_id"), "row_text")
-    best = reliable(found.groupBy("class").agg(F.min(key).alias("best")))
-    judged = found.join(best, "class").select(
+    best = reliable(found.groupBy("class").agg(F.min(key).alias("best"), F.count(F.lit(1)).alias("n")))
+    judged = join_by_key(found, best, ["class"]).select(
         key["row_id"].alias("row_id"), "row_text", (key == F.col("best")).alias("stays")
     )
     return keep_rows(docs, judged, id_col, text_col)

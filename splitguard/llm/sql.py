@@ -48,9 +48,11 @@ WITH docs AS (
 ), cand AS (
     SELECT * FROM base UNION ALL SELECT * FROM mixed
 ), owned AS (
-    SELECT val, count(DISTINCT coalesce(split_part(repo, '/', 1), '')) AS owners FROM cand GROUP BY val
+    SELECT val, count(DISTINCT coalesce(split_part(repo, '/', 1), chr(1))) AS owners,
+           count(DISTINCT coalesce(repo, chr(1))) AS repos FROM cand GROUP BY val
 ), judged AS (
-    SELECT c.*, o.owners <= {secrets.LIVE_OWNERS} AS live FROM cand AS c JOIN owned AS o USING (val)
+    SELECT c.*, o.owners, o.repos, o.owners <= {secrets.LIVE_OWNERS} AND o.repos <= {secrets.LIVE_REPOS} AS live
+    FROM cand AS c JOIN owned AS o USING (val)
 ), kept AS (
     SELECT *, ([{names}])[kind + 1] || ':' || start::BIGINT || ':' || fin::BIGINT AS span
     FROM judged WHERE kind < 3 OR live
@@ -61,12 +63,15 @@ WITH docs AS (
            string_agg(span, ',' ORDER BY start, kind) AS spans,
            count(*) FILTER (live) AS n_live, count(*) FILTER (NOT live) AS n_copied
     FROM kept GROUP BY rid
+), most AS (
+    SELECT rid, max(owners) AS most_owners, max(repos) AS most_repos FROM judged GROUP BY rid
 )
 SELECT d.doc_id, coalesce(n_assign, 0)::BIGINT AS n_assign, coalesce(n_access, 0)::BIGINT AS n_access,
        coalesce(n_hex, 0)::BIGINT AS n_hex, sha256(coalesce(base_spans, '')) AS base_sha256,
        coalesce(spans, '') AS spans, coalesce(n_live, 0)::BIGINT AS n_live,
-       coalesce(n_copied, 0)::BIGINT AS n_copied
-FROM docs AS d LEFT JOIN per USING (rid)"""
+       coalesce(n_copied, 0)::BIGINT AS n_copied, coalesce(most_owners, 0)::BIGINT AS most_owners,
+       coalesce(most_repos, 0)::BIGINT AS most_repos
+FROM docs AS d LEFT JOIN per USING (rid) LEFT JOIN most USING (rid)"""
 
 
 def _shards() -> str:

@@ -6,11 +6,14 @@
    estimates each labeller's accuracy and the share of good texts, and gives each pattern the
    posterior chance that a text with it is good. No true label is used.
 3. A linear scorer over hashed words and shape features is fitted to the posteriors of a
-   bounded sample (FIT_ROWS rows, by content hash) and scores every whole text.
+   bounded sample and scores every whole text. The sample is of about FIT_TEXTS different
+   texts, those whose hash is under a bound that follows from the number of different texts;
+   their features are taken from whole texts, where they are, and only those reach the driver.
 
 Defined results: a null or empty text gets no votes but `short`; a score is in 0..1; with no
-votes at all the posterior is the prior; repeated rows score alike; an empty table gives an
-empty result.
+votes at all the posterior is the prior; very long texts are read whole, and have at most
+BUCKETS features; repeated rows score alike and weigh in the counts, not in the sample; an
+empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,9 +29,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Rows that the scorer is fitted on at most; the sample's size is about this at any input size.
-FIT_ROWS = 3000
-FIT_CHARS = 4000
+#: Different texts that the scorer is fitted on; the sample's size is about this at any input size.
+FIT_TEXTS = 3000
 BUCKETS = 1 << 14
 ROUNDS = 60
 _HASHES = 1 << 40
@@ -137,10 +139,11 @@ def features(text: str | None) -> tuple[np.ndarray, np.ndarray]:
     return np.array(buckets), np.array(weights + shape)
 
 
-def fit_scorer(texts: list[str], chances: list[float], passes: int = 5, rate: float = 0.5) -> np.ndarray:
-    """Logistic weights by adaptive gradient steps, in the order of the rows."""
+def fit_scorer(
+    rows: list[tuple[np.ndarray, np.ndarray]], chances: list[float], passes: int = 5, rate: float = 0.5
+) -> np.ndarray:
+    """Logistic weights of rows of features by adaptive gradient steps, in the order of the rows."""
     weights, seen = np.zeros(BUCKETS), np.full(BUCKETS, 1e-6)
-    rows = [features(t) for t in texts]
     for _ in range(passes):
         for (at, x), p in zip(rows, chances):
             guess = 1 / (1 + np.exp(-np.clip((weights[at] * x).sum(), -30, 30)))
@@ -150,26 +153,39 @@ def fit_scorer(texts: list[str], chances: list[float], passes: int = 5, rate: fl
     return weights
 
 
-def learn(docs: DataFrame, text_col: str = "text") -> tuple[LabelModel, np.ndarray]:
-    """(label model over all rows, scorer's weights from a bounded sample)."""
-    voted = votes(docs, text_col)
-    counted = voted.groupBy("pattern").agg(F.count(F.lit(1)).alias("n")).collect()  # <= 3 ** labellers
-    model = fit_labels({r["pattern"]: r["n"] for r in counted})
-    total = sum(r["n"] for r in counted)
-    bound = min(_HASHES, FIT_ROWS * _HASHES // max(1, total))
+def _feature_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Features of whole texts as bytes: buckets of 16 bits, weights of 32, no bucket twice."""
+    for batch in batches:
+        at, x = [], []
+        for text in batch.column("body"):
+            buckets, inverse = np.unique((found := features(text.as_py()))[0], return_inverse=True)
+            at.append(buckets.astype("<u2").tobytes())
+            x.append(np.bincount(inverse, found[1]).astype("<f4").tobytes())
+        yield pa.RecordBatch.from_arrays(
+            [batch.column("h"), batch.column("pattern"), pa.array(at, pa.binary()), pa.array(x, pa.binary())],
+            names=["h", "pattern", "at", "x"],
+        )
+
+
+def learn(
+    docs: DataFrame, text_col: str = "text", fit_texts: int = FIT_TEXTS
+) -> tuple[LabelModel, np.ndarray]:
+    """(label model over all rows, scorer's weights from a bounded sample of different texts)."""
     body = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("body"))
-    sample = (
-        body.withColumn("h", F.pmod(F.xxhash64("body"), F.lit(_HASHES)))
-        .where(F.col("h") < bound)
-        .select("h", F.concat(*_vote_columns()).alias("pattern"), F.substring("body", 1, FIT_CHARS).alias("body"))
-        .dropDuplicates(["h"])
-        .collect()
-    )
+    hashed = body.select(F.pmod(F.xxhash64("body"), F.lit(_HASHES)).alias("h"), "body")
+    voted = hashed.select("h", F.concat(*_vote_columns()).alias("pattern"))
+    # A text has one pattern, so different texts are counted pattern by pattern.
+    counted = voted.groupBy("pattern").agg(
+        F.count(F.lit(1)).alias("n"), F.approx_count_distinct("h").alias("texts")
+    ).collect()  # <= 3 ** labellers
+    model = fit_labels({r["pattern"]: r["n"] for r in counted})
+    bound = min(_HASHES, fit_texts * _HASHES // max(1, sum(r["texts"] for r in counted)))
+    texts = hashed.where(F.col("h") < bound).dropDuplicates(["h"])
+    taken = texts.select("h", F.concat(*_vote_columns()).alias("pattern"), "body")
+    sample = taken.mapInArrow(_feature_batches, "h long, pattern string, at binary, x binary").collect()
     sample.sort(key=lambda r: r["h"])
-    weights = fit_scorer(
-        [r["body"] for r in sample], [model.posterior[r["pattern"]] for r in sample]
-    )
-    return model, weights
+    rows = [(np.frombuffer(r["at"], "<u2").astype(int), np.frombuffer(r["x"], "<f4")) for r in sample]
+    return model, fit_scorer(rows, [model.posterior[r["pattern"]] for r in sample])
 
 
 def score_quality(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

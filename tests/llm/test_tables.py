@@ -6,6 +6,9 @@ import zlib
 from collections import Counter, defaultdict
 
 import pytest
+import xxhash
+import zstandard
+from test_nearsets import plain_kept
 
 import corpus_pipeline
 from splitguard.llm import (
@@ -321,27 +324,76 @@ def test_every_operator_has_a_query():
     assert sorted(int(n[2:].split("_")[0]) for n in queries.queries()) == list(range(1, 11))
 
 
+def plain_fit(rows):
+    """Dictionaries of (doc_id, text, lang) rows, where all pieces are under the sample's bound."""
+    pieces = defaultdict(dict)
+    for i, text, lang in rows:
+        if zlib.crc32(str(i).encode()) % 4 != 2 and lang is not None:
+            for at in range(0, len(text or ""), 2048):
+                piece = text[at : at + 2048]
+                if re.search(r"[^\W\d_]", piece):
+                    pieces[lang][xxhash.xxh64_intdigest(piece.encode(), 42) % (1 << 40)] = piece
+    assert all(len(p) < 500 for p in pieces.values())
+    return {la: b"".join(plain_letters(p[h]) for h in sorted(p))[: 128 * 1024] for la, p in pieces.items()}
+
+
+def plain_letters(text):
+    return (" " + " ".join(re.findall(r"[^\W\d_]+", text.lower())) + " ").encode("utf-8", "ignore")
+
+
+def plain_language(text, content):
+    """(language, margin) by the sizes of stretches of 8,192 bytes behind the dictionary's last 512."""
+    if not content or not re.search(r"[^\W\d_]", text or ""):
+        return "und", 0.0
+    data, sizes = plain_letters(text), []
+    for lang in sorted(content):
+        raw = zstandard.ZstdCompressionDict(content[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        how = zstandard.ZstdCompressionParameters.from_level(9, write_content_size=False, write_checksum=False, write_dict_id=False)
+        made = zstandard.ZstdCompressor(dict_data=raw, compression_params=how)
+        parts = [data[i : i + 8192] for i in range(0, len(data), 8192)]
+        sizes.append((sum(len(made.compress(content[lang][-512:] + p)) for p in parts), lang))
+    best, second = sorted(sizes)[:2]
+    return best[1], (second[0] - best[0]) / second[0]
+
+
+def test_language_is_the_plain_one(spark):
+    full = spark.read.parquet(f"{SF}/documents.parquet")
+    rows = [(r["doc_id"], r["text"], r["lang"]) for r in full.collect()]
+    content = plain_fit(rows)
+    assert langid.fit(full) == content
+    want = {i: plain_language(t, content) for i, t, _ in rows}
+    got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in langid.identify(full).collect()}
+    assert got == want
+
+
 def test_pipeline(spark):
+    """All stages against brute force that shares no code with them."""
     full = spark.read.parquet(f"{SF}/documents.parquet")
     final = corpus_pipeline.run(spark, SF)
     assert final.columns == [*full.columns, "ids", "n_pieces", "round_trip"]
     got = {r["doc_id"]: r for r in final.collect()}
-    # Brute force over the same stages.
-    judge = langid.Recogniser(langid.fit(full)).judge
-    rows = sorted((r["doc_id"], r["text"]) for r in full.collect())
-    rows = [(i, t) for i, t in rows if re.search(r"[^\W\d_]", t) and judge(t)[1] >= langid.MARGIN]
+    every = sorted((r["doc_id"], r["text"], r["lang"]) for r in full.collect())
+    content = plain_fit(every)
+    rows = [(i, t) for i, t, _ in every if plain_language(t, content)[1] >= 0.002]
     seen, unique = set(), []
     for i, t in rows:
         n = re.sub(r"[\x20\x09-\x0D]+", " ", t)
         if n not in seen:
             seen.add(n)
             unique.append((i, t))
-    near = {i for i, _, c in plain_components(unique) if i == c}
+    near = set(plain_kept(unique))
     items = [(str(r["item_id"]), r["text"]) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
-    sets = [decontam.Patterns(items)]
-    want = {i: t for i, t in unique if i in near and not decontam.judge_texts([t], sets)[0][1]}
+
+    def grams(text, n=10):
+        w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
+        return w, n, {tuple(w[i : i + n]) for i in range(len(w) - n + 1)}
+
+    windows = set().union(*(grams(t)[2] for _, t in items))
+    assert all(len(grams(t)[0]) >= 10 for _, t in items)
+    want = {i: t for i, t in unique if i in near and not grams(t)[2] & windows}
     assert {i: r["text"] for i, r in got.items()} == want
-    assert all(r["round_trip"] for r in got.values())
+    vocabulary = sentencepieces.Vocabulary.load()
+    assert all(r["round_trip"] and sentencepieces.decode(r["ids"], vocabulary) == r["text"] for r in got.values())
 
 
 def test_stages_keep_columns_and_order():
