@@ -171,7 +171,7 @@ def test_regions_and_hints(page, text):
 @settings(max_examples=100, deadline=None)
 def test_regions_are_the_plain_ones(weights, window):
     width = min(window, len(weights))
-    starts = range(len(weights) - width + 1)
+    starts = range(len(weights) - width + 1) if weights else []
     assert htmltext.window_sums(weights, window) == [sum(weights[i : i + width]) for i in starts]
     covered = {j for i in starts if sum(weights[i : i + width]) >= 60 for j in range(i, i + width)}
     found = htmltext.regions(weights, window, 60)
