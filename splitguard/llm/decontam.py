@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from splitguard.functions.runtime import reliable
-from splitguard.llm.rows import apply_keys, id_key, stretches, text_key
+from splitguard.llm.rows import apply_keys, id_key, lean, stretches, text_key
 
 WORDS = 10
 #: Bytes of patterns in one compiled set.
@@ -270,7 +270,7 @@ def _found_by_set(keyed: DataFrame, parts: int, make) -> DataFrame:
                 yield pa.RecordBatch.from_pylist(rows, schema=schema)
 
         schema = "row_id long, row_text long, spans array<struct<s: long, e: long>>, items array<string>"
-        own = reliable(keyed.mapInArrow(kernel, schema).dropDuplicates(["row_id", "row_text"]))
+        own = reliable(keyed.mapInArrow(lean(kernel), schema).dropDuplicates(["row_id", "row_text"]))
         shared.unpersist()
         found = own if found is None else found.unionByName(own)
     return found
@@ -351,7 +351,7 @@ def contamination(
 
     kept = "".join(f"`{c}` {types[c]}, " for c in names)
     return slim.mapInArrow(
-        kernel,
+        lean(kernel),
         kept + "n_words long, n_hit long, n_items long, items array<string>, items_sha256 string, "
         "contaminated boolean",
     )
@@ -386,7 +386,7 @@ def clean(
             yield batch.filter(pa.array([not x[1] for x in judged], pa.bool_()))
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.select(*names).mapInArrow(kernel, schema)
+    return docs.select(*names).mapInArrow(lean(kernel), schema)
 
 
 _RESULT = ("n_words", "n_hit", "n_items", "items", "items_sha256", "contaminated")

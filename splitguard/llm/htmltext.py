@@ -34,6 +34,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from splitguard.llm.rows import lean
+
 WINDOW = 3
 SURGE = 60
 #: Outside an article element, a region belongs to the text if it has one part in SHARE of the heaviest's weight.
@@ -288,4 +290,4 @@ def extract(
             yield pa.RecordBatch.from_arrays(columns, names=[*names, "text", "n_chars"])
 
     schema = ", ".join(f"`{c}` {types[c]}" for c in names)
-    return slim.mapInArrow(kernel, f"{schema}, text string, n_chars long")
+    return slim.mapInArrow(lean(kernel), f"{schema}, text string, n_chars long")

@@ -33,7 +33,7 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from splitguard.llm.rows import fresh
+from splitguard.llm.rows import fresh, lean
 
 DICTIONARY_BYTES = 128 * 1024
 #: Different pieces of a language's texts that reach the driver, about.
@@ -183,7 +183,7 @@ def predict(
             )
 
     return slim.mapInArrow(
-        kernel, "doc_id long, held_out boolean, lang_pred string, score double, rejected boolean"
+        lean(kernel), "doc_id long, held_out boolean, lang_pred string, score double, rejected boolean"
     )
 
 
@@ -204,7 +204,7 @@ def keep_recognised(
             yield batch.select(names).filter(clear)
 
     marked = docs.select("*", has_letter(F.col(text_col)).alias(mark))
-    return marked.mapInArrow(kernel, schema)
+    return marked.mapInArrow(lean(kernel), schema)
 
 
 def fit(docs: DataFrame, id_col="doc_id", text_col="text", lang_col="lang") -> dict[str, bytes]:

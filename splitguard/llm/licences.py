@@ -32,6 +32,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from splitguard.llm.rows import lean
+
 LEAST_DICE = 0.8
 
 # Public licence notices and short licences, whole, by SPDX-like name.
@@ -315,7 +317,7 @@ def scan_licences(
             )
 
     return slim.mapInArrow(
-        kernel,
+        lean(kernel),
         "doc_id long, n_licences long, licences string, best_licence string, best_dice double, "
         "spans string",
     )

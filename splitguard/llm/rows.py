@@ -10,7 +10,8 @@ and only the others are shuffled for the exact join.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import pyarrow as pa
@@ -58,6 +59,33 @@ def stretches(texts: pa.Array, most: int) -> Iterator[tuple[int, int]]:
         yield start, len(sizes)
 
 
+Batches = Iterator[pa.RecordBatch]
+
+
+def lean(kernel: Callable[[Batches], Batches]) -> Callable[[Batches], Batches]:
+    """kernel, with buffers of the system's allocator and freed memory given back after each batch.
+
+    Workers outlive their tasks; what they hold on to counts against their executor.
+    """
+
+    def run(batches: Batches) -> Batches:
+        pa.set_memory_pool(pa.system_memory_pool())
+        give_back = getattr(ctypes.CDLL(None), "malloc_trim", None)  # only some C libraries have it
+
+        def inputs() -> Batches:
+            for batch in batches:
+                yield batch
+                del batch
+                if give_back:
+                    give_back(0)
+
+        yield from kernel(inputs())
+        if give_back:
+            give_back(0)
+
+    return run
+
+
 # ---- bitmaps of keys ---------------------------------------------------------------
 
 

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame
 
-from splitguard.llm.rows import stretches
+from splitguard.llm.rows import lean, stretches
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
@@ -40,7 +40,7 @@ UNKNOWN_PENALTY = 10.0
 #: Units that the store holds; over that, all but the first KEPT_UNITS go. Common units come early.
 CACHE_UNITS = 200_000
 KEPT_UNITS = 100_000
-BATCH_BYTES = 2 * 1024 * 1024
+BATCH_BYTES = 1024 * 1024
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _SLOT_BITS = 16
 _SLOT_SHIFT = np.uint64(64 - _SLOT_BITS)
@@ -285,9 +285,13 @@ def encode_texts(
     model: str = MODEL,
     check: bool = False,
     text_kept: bool = True,
+    scores: str = "rank",
 ) -> DataFrame:
-    """docs with ids array<int> and n_pieces; with check, also round_trip boolean."""
-    shared = docs.sparkSession.sparkContext.broadcast(cloudpickle.dumps(Vocabulary.load(model)))
+    """docs with ids array<int> and n_pieces; with check, also round_trip boolean.
+
+    scores: "rank" for chances by the order of the pieces, "model" for the file's own numbers.
+    """
+    shared = docs.sparkSession.sparkContext.broadcast(cloudpickle.dumps(Vocabulary.load(model, scores)))
     clash = {"ids", "n_pieces", *(["round_trip"] if check else [])}
     names = [c for c in docs.columns if c not in clash]
     slim = docs.select(*names)
@@ -326,4 +330,4 @@ def encode_texts(
                 )
 
     schema = "".join(f"`{c}` {types[c]}, " for c in kept) + "ids array<int>, n_pieces long"
-    return slim.mapInArrow(kernel, schema + (", round_trip boolean" if check else ""))
+    return slim.mapInArrow(lean(kernel), schema + (", round_trip boolean" if check else ""))

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from splitguard.functions.runtime import join_by_key, reliable
-from splitguard.llm.rows import NO_ID, keep_rows, text_key
+from splitguard.llm.rows import NO_ID, keep_rows, lean, text_key
 from splitguard.operators.components import connected_components
 
 WORDS = 4
@@ -89,7 +89,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         text_key(text_col).alias("row_text"),
         F.col(text_col).alias("text"),
     )
-    return slim.mapInArrow(_fingerprint_batches, "doc_id long, row_text long, fp long")
+    return slim.mapInArrow(lean(_fingerprint_batches), "doc_id long, row_text long, fp long")
 
 
 def block_layout(max_bits: int, blocks: int) -> tuple[list[tuple[int, int]], int]:
@@ -240,7 +240,7 @@ def print_links(prints: DataFrame, max_bits: int = MAX_BITS, blocks: int | None
         .sortWithinPartitions("key", "fp")
         .select("key", "fp")
     )
-    return dealt.mapInArrow(_link_kernel(max_bits), "a long, b long")
+    return dealt.mapInArrow(lean(_link_kernel(max_bits)), "a long, b long")
 
 
 def near_duplicates(

@@ -29,6 +29,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from splitguard.llm.rows import lean
+
 #: Different texts that the scorer is fitted on; the sample's size is about this at any input size.
 FIT_TEXTS = 3000
 BUCKETS = 1 << 14
@@ -182,7 +184,7 @@ def learn(
     bound = min(_HASHES, fit_texts * _HASHES // max(1, sum(r["texts"] for r in counted)))
     texts = hashed.where(F.col("h") < bound).dropDuplicates(["h"])
     taken = texts.select("h", F.concat(*_vote_columns()).alias("pattern"), "body")
-    sample = taken.mapInArrow(_feature_batches, "h long, pattern string, at binary, x binary").collect()
+    sample = taken.mapInArrow(lean(_feature_batches), "h long, pattern string, at binary, x binary").collect()
     sample.sort(key=lambda r: r["h"])
     rows = [(np.frombuffer(r["at"], "<u2").astype(int), np.frombuffer(r["x"], "<f4")) for r in sample]
     return model, fit_scorer(rows, [model.posterior[r["pattern"]] for r in sample])
@@ -216,5 +218,5 @@ def score_quality(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
             )
 
     return slim.mapInArrow(
-        kernel, "doc_id long, votes string, weak_posterior double, score double, good boolean"
+        lean(kernel), "doc_id long, votes string, weak_posterior double, score double, good boolean"
     )
