@@ -9,7 +9,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from splitguard.plans import audits, hashing, tables
+from splitguard.plans import audits, hashing, images, tables
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -19,7 +19,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def entries() -> dict[str, tuple[Query, str | None]]:
-    return hashing.entries() | audits.entries() | tables.entries()
+    return hashing.entries() | images.entries() | audits.entries() | tables.entries()
 
 
 def queries() -> dict[str, Query]:

@@ -90,17 +90,24 @@ def ortho_weights(side: int) -> np.ndarray:
     return weights
 
 
-def factor_block(grey: np.ndarray, factor: int, side: int = 8) -> np.ndarray:
-    """side * side low coefficients of a raster downsampled by a factor and transformed whole."""
-    high, wide = (n // factor for n in grey.shape)
-    boxes = grey[: high * factor, : wide * factor].astype(np.int64)
-    boxes = boxes.reshape(high, factor, wide, factor).sum(axis=(1, 3))
+def size_basis(n: int, side: int = 8) -> np.ndarray:
+    """basis[u][x] for n cells a side."""
+    x, u = np.arange(n), np.arange(side)[:, None]
+    return np.rint(SCALE * np.cos((2 * x + 1) * u * math.pi / (2 * n))).astype(np.int64)
+
 
-    def basis(n: int) -> np.ndarray:
-        x, u = np.arange(n), np.arange(side)[:, None]
-        return np.rint(SCALE * np.cos((2 * x + 1) * u * math.pi / (2 * n))).astype(np.int64)
+def factor_blocks(grey: np.ndarray, factor: int, side: int = 8) -> np.ndarray:
+    """(n, side * side) low coefficients of (n, height, width) rasters, each downsampled by a factor
+    and transformed whole."""
+    count, high, wide = grey.shape[0], grey.shape[1] // factor, grey.shape[2] // factor
+    boxes = grey[:, : high * factor, : wide * factor].astype(np.int64)
+    boxes = boxes.reshape(count, high, factor, wide, factor).sum(axis=(2, 4))
+    return (size_basis(high, side) @ boxes @ size_basis(wide, side).T).reshape(count, side * side)
 
-    return (basis(high) @ boxes @ basis(wide).T).reshape(-1)
+
+def factor_block(grey: np.ndarray, factor: int, side: int = 8) -> np.ndarray:
+    """factor_blocks of one raster."""
+    return factor_blocks(grey[None], factor, side)[0]
 
 
 def bits_of(blocks: np.ndarray, threshold: str) -> np.ndarray:

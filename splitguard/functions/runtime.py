@@ -64,16 +64,21 @@ def shuffle_width(spark: SparkSession) -> int:
 
 
 def join_by_key(
-    rows: DataFrame, side: DataFrame, keys: list[str], count: str = "n", how: str = "inner"
+    rows: DataFrame,
+    side: DataFrame,
+    keys: list[str],
+    count: str = "n",
+    how: str = "inner",
+    most_hot: int | None = None,
 ) -> DataFrame:
     """rows joined, inner or left, to side: one row a key, with its number of rows in `count`.
 
-    Hot keys are joined by broadcast, there being fewer than MOST_HOT of them; the others
+    Hot keys are joined by broadcast, there being fewer than most_hot of them; the others
     by shuffle, where none holds more than a small share of the rows. Both frames are read
     twice, so they should be checkpointed. The count is not in the result.
     """
     total = side.agg(F.coalesce(F.sum(count), F.lit(0)).alias("n")).first()["n"]
-    limit = max(LEAST_HOT, int(total) // MOST_HOT)
+    limit = max(LEAST_HOT, int(total) // (most_hot or MOST_HOT))
     hot = side.where(F.col(count) > limit).drop(count)
     if not hot.limit(1).count():
         return rows.join(side.drop(count), keys, how)

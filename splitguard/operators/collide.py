@@ -3,6 +3,9 @@
 A fingerprint that very many rasters share (a blank tile) is one key of every shuffle
 here. Counts go through partial aggregates, targets are made distinct before a join, and
 nothing enumerates pairs of a group.
+
+An image without a fingerprint (unreadable, too small) counts in the size of its set, as one
+version, and in nothing else: it is in no index, hits nothing and is nobody's copy.
 """
 
 from __future__ import annotations
@@ -30,7 +33,7 @@ def overlap_pct(hits: Column, size: Column, digits: int | None = None, how: str
 
 def hash_index(hashed: DataFrame) -> DataFrame:
     """(hash, min_id, n): one combined shuffle on the hash."""
-    return hashed.groupBy("hash").agg(
+    return hashed.where("hash is not null").groupBy("hash").agg(
         F.min("image_id").alias("min_id"), F.count(F.lit(1)).alias("n")
     )
 
@@ -38,7 +41,7 @@ def hash_index(hashed: DataFrame) -> DataFrame:
 def _side(hashed: DataFrame, augmented: bool) -> DataFrame:
     """(image_id, split, hash) rows of (image_id, split, hashes): one, or one an operation."""
     if augmented:
-        return hashed.select("image_id", "split", F.explode("hashes").alias("hash"))
+        return hashed.select("image_id", "split", F.explode_outer("hashes").alias("hash"))
     return hashed.select("image_id", "split", F.element_at("hashes", 1).alias("hash"))
 
 
@@ -73,6 +76,7 @@ def self_overlap(hashed: DataFrame, count: str = "redundant") -> DataFrame:
     of groups of two or more with count='members'."""
     index = hashed.groupBy("hash").agg(F.count(F.lit(1)).alias("n"))
     extra = F.col("n") - 1 if count == "redundant" else F.when(F.col("n") > 1, F.col("n")).otherwise(0)
+    extra = F.when(F.col("hash").isNotNull(), extra)
     made = index.agg(
         F.coalesce(F.sum("n"), F.lit(0)).alias("n_search"),
         F.coalesce(F.sum(extra), F.lit(0)).cast("long").alias("n_hits"),
@@ -110,6 +114,7 @@ def overlap_matrix(
     for (i, s), (j, t) in product(enumerate(splits), repeat=2):
         own, other = F.col(marks[0][i]), F.col(marks[1][j])
         hits = own - F.least(own, F.lit(1)) if i == j else F.when(other > 0, own).otherwise(0)
+        hits = F.when(F.col("hash").isNotNull(), hits)
         cells.append(
             F.struct(
                 F.lit(s).alias("search"),
@@ -159,6 +164,28 @@ def brute_force_pairs(a: DataFrame, b: DataFrame, tau: int) -> DataFrame:
     )
 
 
+#: Queries of a search that are broadcast at once.
+BLOCK_QUERIES = 100_000
+
+
+def hamming_search(queries: DataFrame, rows: DataFrame, tau: int) -> DataFrame:
+    """(a, b, distance) of stated queries against all rows, by comparing hashes, at any distance.
+
+    Queries are compared in blocks of a size known beforehand: rows are read once a block.
+    For distances of few bits, near_hashes is the way.
+    """
+    queries = reliable(queries.select(F.col("image_id").alias("a"), F.col("hash").alias("ha")).where("ha is not null"))
+    blocks = -(-queries.count() // (BLOCK_QUERIES // 2)) or 1
+    block = F.pmod(F.xxhash64("a"), F.lit(blocks))  # half full on average
+    rows = rows.select(F.col("image_id").alias("b"), F.col("hash").alias("hb"))
+    far, out = F.bit_count(F.col("ha").bitwiseXOR(F.col("hb"))), None
+    for k in range(blocks):
+        near = rows.join(F.broadcast(queries.where(block == k)), far <= tau)
+        near = near.select("a", "b", far.cast("int").alias("distance"))
+        out = near if out is None else out.unionByName(near)
+    return out
+
+
 def ops_hits(search: DataFrame, target: DataFrame, ops: tuple[str, ...] = PAPER_OPS) -> DataFrame:
     """(op, n_search, n_hits): official search images found by each operation of the target."""
     wanted = _side(search, False).select("image_id", "hash")
@@ -169,7 +196,7 @@ def ops_hits(search: DataFrame, target: DataFrame, ops: tuple[str, ...] = PAPER_
         .groupBy("op")
         .agg(F.sum("n").alias("n_hits"))
     )
-    every = reliable(found).sparkSession.createDataFrame([(op,) for op in ops], "op string")
+    every = found.sparkSession.createDataFrame([(op,) for op in ops], "op string")
     return (
         every.join(F.broadcast(found), "op", "left")  # a row an operation
         .join(F.broadcast(total), how="left")

@@ -2,37 +2,31 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from splitguard.functions.runtime import reliable
+from splitguard.functions.runtime import join_by_key, reliable
 from splitguard.operators.components import connected_components
 
 POLICIES = ("first_seen", "components", "canonical")
-#: A hash held by more versions than this is joined by broadcast; there can't be many such hashes.
-HEAVY = 100_000
 
 
 def _versions(hashed: DataFrame) -> DataFrame:
-    return hashed.select("image_id", "split", F.explode("hashes").alias("hash"))
+    return hashed.select("image_id", "split", F.explode("hashes").alias("hash")).where("hash is not null")
 
 
 def _with_owner(versions: DataFrame) -> DataFrame:
     """versions with the least image of their split that has the hash.
 
-    Hashes held by one version own themselves and are left out of the join. Very heavy
-    hashes, at most versions / HEAVY of them, are broadcast; the others can't be skewed.
+    Hashes held by one version own themselves and are left out of the join; hot ones are
+    joined apart.
     """
+    versions = reliable(versions)
     index = versions.groupBy("split", "hash").agg(
         F.min("image_id").alias("owner"), F.count(F.lit(1)).alias("n")
     )
     index = reliable(index.where("n > 1"))
-    heavy = index.where(F.col("n") > HEAVY).select("split", "hash", F.col("owner").alias("heavy_owner"))
-    light = index.where(F.col("n") <= HEAVY).select("split", "hash", "owner")
-    marked = versions.join(F.broadcast(heavy), ["split", "hash"], "left")
-    rest = marked.where("heavy_owner is null").drop("heavy_owner").join(light, ["split", "hash"], "left")
-    hot = marked.where("heavy_owner is not null").withColumnRenamed("heavy_owner", "owner")
-    both = rest.unionByName(hot)
+    both = join_by_key(versions, index, ["split", "hash"], how="left")
     return both.withColumn("owner", F.coalesce("owner", "image_id"))
 
 
@@ -42,11 +36,14 @@ def retain_unique(hashed: DataFrame, policy: str = "first_seen") -> DataFrame:
     first_seen: an image goes if a smaller id of its split shares any of its hashes.
     components: the least id of each transitive group stays.
     canonical: the least of all oriented hashes is one key; hashes should hold all eight.
+    Images without a hash stay under every policy.
     """
     if policy == "canonical":
         key = F.array_min("hashes")
-        first = hashed.groupBy("split", key.alias("key")).agg(F.min("image_id").alias("image_id"))
-        return hashed.join(first.select("split", "image_id"), ["split", "image_id"], "left_semi")
+        keyed = hashed.select("split", "image_id", key.alias("key")).where("key is not null")
+        first = keyed.groupBy("split", "key").agg(F.min("image_id").alias("image_id"))
+        kept = hashed.join(first.select("split", "image_id"), ["split", "image_id"], "left_semi")
+        return kept.unionByName(hashed.where(key.isNull()))
     owned = _with_owner(_versions(hashed))
     if policy == "first_seen":
         gone = owned.where(F.col("owner") < F.col("image_id")).select("split", "image_id").distinct()
@@ -63,28 +60,18 @@ def retain_unique(hashed: DataFrame, policy: str = "first_seen") -> DataFrame:
     return hashed.join(gone, ["split", "image_id"], "left_anti")
 
 
-def duplicate_groups(hashed: DataFrame, members: int = 10) -> DataFrame:
-    """(group_id, n, members): groups of two or more equal hashes, their least members listed.
-
-    Members are numbered inside the group, so that only the listed ones are gathered.
-    """
+def duplicate_groups(hashed: DataFrame) -> DataFrame:
+    """(group_id, n, image_id): one row for every image of a group of two or more equal hashes."""
+    hashed = hashed.select("hash", "image_id").where("hash is not null")
     index = hashed.groupBy("hash").agg(F.min("image_id").alias("group_id"), F.count(F.lit(1)).alias("n"))
-    index = index.where("n > 1")
-    nth = F.row_number().over(Window.partitionBy("hash").orderBy("image_id"))
-    listed = (
-        hashed.select("hash", "image_id", nth.alias("nth"))
-        .where(F.col("nth") <= members)
-        .groupBy("hash")
-        .agg(F.array_sort(F.collect_list("image_id")).alias("members"))
-    )
-    return index.join(listed, "hash").select(
-        "group_id", "n", F.array_join(F.transform("members", lambda i: i.cast("string")), ",").alias("members")
-    )
+    index = reliable(index.where("n > 1").withColumn("size", F.col("n")))
+    found = join_by_key(hashed, index, ["hash"])
+    return found.select("group_id", F.col("size").alias("n"), "image_id")
 
 
 def group_size_histogram(hashed: DataFrame) -> DataFrame:
     """(size, n_groups, n_images)."""
-    sizes = hashed.groupBy("hash").agg(F.count(F.lit(1)).alias("size"))
+    sizes = hashed.where("hash is not null").groupBy("hash").agg(F.count(F.lit(1)).alias("size"))
     return sizes.groupBy("size").agg(
         F.count(F.lit(1)).alias("n_groups"), F.sum("size").alias("n_images")
     )
@@ -139,13 +126,23 @@ def sanitize(
     return clean, report
 
 
-def leak_pairs(train: DataFrame, held: DataFrame, per_hash: int = 3) -> DataFrame:
-    """(held_id, train_id, hash): for each held image the least train images with its hash."""
-    nth = F.row_number().over(Window.partitionBy("hash").orderBy("image_id"))
-    few = train.select("hash", "image_id", nth.alias("nth")).where(F.col("nth") <= per_hash)
-    few = few.select("hash", F.col("image_id").alias("train_id"))
-    return held.select(F.col("image_id").alias("held_id"), "hash").join(few, "hash").select(
-        "held_id", "train_id", "hash"
+def leak_pairs(train: DataFrame, held: DataFrame) -> DataFrame:
+    """(held_id, hash, train_id, n_train): every held image whose hash is in train, with the least
+    train image of the hash and their number; leak_members lists the others."""
+    index = train.where("hash is not null").groupBy("hash").agg(
+        F.min("image_id").alias("train_id"), F.count(F.lit(1)).alias("n_train")
+    )
+    held = held.select(F.col("image_id").alias("held_id"), "hash")
+    wanted = held.groupBy("hash").agg(F.count(F.lit(1)).alias("n"))
+    return join_by_key(held, reliable(index.join(wanted, "hash")), ["hash"]).select(
+        "held_id", "hash", "train_id", "n_train"
+    )
+
+
+def leak_members(train: DataFrame, held: DataFrame) -> DataFrame:
+    """(hash, train_id): every train image whose hash is in held; with leak_pairs, all links."""
+    return train.join(held.select("hash").distinct(), "hash", "left_semi").select(
+        "hash", F.col("image_id").alias("train_id")
     )
 
 

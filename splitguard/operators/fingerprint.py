@@ -22,13 +22,13 @@ from splitguard.functions.dct import (
     average_bits,
     bits_of,
     blocks_of,
-    factor_block,
+    factor_blocks,
     orientation_tables,
     oriented,
     words_of,
 )
 from splitguard.functions.runtime import bind
-from splitguard.operators.raster import RASTERISERS
+from splitguard.operators.raster import RASTERISERS, by_size
 
 #: Rows rasterised at once: 32 x 32 cells of 8 bytes each, so about 16 MB.
 ROWS = 2000
@@ -147,17 +147,14 @@ def phash_factor(
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            hashes = []
-            for row in batch.select(["height", "width", "pixels"]).to_pylist():
-                h, w, p = row["height"], row["width"], row["pixels"]
-                whole = p is not None and h is not None and w is not None and len(p) == h * w
-                if not whole or None in p or min(h, w) // factor < side:
-                    hashes.append(None)
-                    continue
-                block = factor_block(np.array(p).reshape(h, w), factor, side)
-                hashes.append(int(words_of(bits_of(block[None], threshold))[0, 0]))
+            hashes = np.zeros(batch.num_rows, np.int64)
+            reasons, groups = by_size(batch, side * factor)
+            for rows, grey in groups:
+                blocks = factor_blocks(grey, factor, side)
+                hashes[rows] = words_of(bits_of(blocks, threshold))[:, 0]
+            bad = np.array([r is not None for r in reasons], bool)
             yield pa.RecordBatch.from_arrays(
-                [batch.column("image_id"), batch.column("split"), pa.array(hashes, pa.int64())],
+                [batch.column("image_id"), batch.column("split"), pa.array(hashes, pa.int64(), mask=bad)],
                 names=["image_id", "split", "hash"],
             )
 

@@ -8,6 +8,7 @@ from itertools import product
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from splitguard.functions.runtime import join_by_key, reliable
 from splitguard.operators.collide import overlap_matrix
 from splitguard.operators.fingerprint import hamming
 from splitguard.operators.raster import SPLITS
@@ -37,12 +38,15 @@ def flagged(hashed: DataFrame, search: str, target: str) -> DataFrame:
 
 def hash_agreement(both: DataFrame, splits: tuple[str, ...] = SPLITS) -> DataFrame:
     """(search, target, n_both, n_phash_only, n_ahash_only) over ordered pairs of different splits."""
-    marked = both.select("image_id", "split", "phash", "ahash")
+    marked = reliable(both.select("image_id", "split", "phash", "ahash"))
+    flags = []
     for name in ("phash", "ahash"):
-        held = marked.groupBy(name).agg(
-            *[F.max(F.col("split") == s).alias(f"{name}_{s}") for s in splits]
+        held = marked.where(F.col(name).isNotNull()).groupBy(name).agg(
+            *[F.max(F.col("split") == s).alias(f"{name}_{s}") for s in splits], F.count(F.lit(1)).alias("n")
         )
-        marked = marked.join(held, name)
+        marked = join_by_key(marked, reliable(held), [name], how="left")
+        flags += [f"{name}_{s}" for s in splits]
+    marked = marked.select("split", *[F.coalesce(f, F.lit(False)).alias(f) for f in flags])
     cells = []
     for s, t in product(splits, repeat=2):
         if s == t:
@@ -71,7 +75,7 @@ def collision_precision(hashed: DataFrame, digests: DataFrame) -> DataFrame:
         F.sum("n").alias("members"), F.sum(F.when(F.col("n") == 1, 1).otherwise(0)).alias("alone"),
         F.sum(F.when(F.col("n") > 1, F.col("n")).otherwise(0)).alias("copies"),
     )
-    hit = F.col("members") > 1
+    hit = (F.col("members") > 1) & F.col("hash").isNotNull()
     made = sums.agg(
         F.coalesce(F.sum(F.when(hit, F.col("members"))), F.lit(0)).alias("n_flagged"),
         F.coalesce(F.sum(F.when(hit, F.col("alone"))), F.lit(0)).alias("n_false"),
@@ -85,7 +89,10 @@ def verify_pairs(pairs: DataFrame, pixels: DataFrame) -> DataFrame:
     """(id_a, id_b, sum_abs_diff, mean_abs_diff) of pairs (id_a, id_b), from (image_id, pixels)."""
     a = pixels.select(F.col("image_id").alias("id_a"), F.col("pixels").alias("pa"))
     b = pixels.select(F.col("image_id").alias("id_b"), F.col("pixels").alias("pb"))
-    both = pairs.select("id_a", "id_b").join(a, "id_a").join(b, "id_b")
+    pairs = pairs.select("id_a", "id_b")
+    # One image may stand in very many pairs: its raster is sent to them, not they to it.
+    held = pairs.groupBy("id_a").agg(F.count(F.lit(1)).alias("n"))
+    both = join_by_key(pairs.join(b, "id_b"), a.join(held, "id_a"), ["id_a"], most_hot=2_000)
     total = F.aggregate(
         F.zip_with("pa", "pb", lambda x, y: F.abs(x - y)), F.lit(0).cast("long"), lambda s, x: s + x
     )
@@ -128,10 +135,10 @@ def raster_stats(pixels: Column) -> Column:
 
 def flat_audit(hashed: DataFrame, pixels: DataFrame) -> DataFrame:
     """(collided, n, sum_contrast, min_contrast, sum_zero_cells): how flat collided images are."""
-    sizes = hashed.groupBy("hash").agg(F.count(F.lit(1)).alias("members"))
+    sizes = hashed.where("hash is not null").groupBy("hash").agg(F.count(F.lit(1)).alias("members"))
     stats = pixels.select("image_id", raster_stats(F.col("pixels")).alias("s"))
-    joined = hashed.select("image_id", "hash").join(sizes, "hash").join(stats, "image_id")
-    return joined.groupBy((F.col("members") > 1).alias("collided")).agg(
+    joined = hashed.select("image_id", "hash").join(sizes, "hash", "left").join(stats, "image_id")
+    return joined.groupBy((F.coalesce("members", F.lit(1)) > 1).alias("collided")).agg(
         F.count(F.lit(1)).alias("n"), F.sum("s.contrast").alias("sum_contrast"),
         F.min("s.contrast").alias("min_contrast"), F.sum("s.zero_cells").alias("sum_zero_cells"),
     )
@@ -152,7 +159,7 @@ def depth_ablation(deep: DataFrame, depths: dict[str, str]) -> DataFrame:
 
 def label_agreement(hashed: DataFrame, labels: DataFrame) -> DataFrame:
     """(n_groups, n_members, n_agreeing): groups of equal hashes whose labels are all alike."""
-    joined = hashed.select("image_id", "hash").join(labels, "image_id")
+    joined = hashed.select("image_id", "hash").where("hash is not null").join(labels, "image_id")
     groups = joined.groupBy("hash").agg(
         F.count(F.lit(1)).alias("n"), F.min("label").alias("low"), F.max("label").alias("high")
     ).where("n > 1")
@@ -179,21 +186,33 @@ def memorization_gap(hashed: DataFrame, labels: DataFrame) -> DataFrame:
     ).withColumn("accuracy", F.col("n_right") / F.col("n"))
 
 
-def planted_copies(images: DataFrame, ops: tuple[str, ...], every: int = 7, rest: int = 3) -> DataFrame:
-    """(image_id, split, payload, source_id, op): one reoriented copy of each every-th raster, in the next split."""
+def planted_copies(images: DataFrame, ops: tuple[str, ...]) -> DataFrame:
+    """(image_id, split, payload, source_id, op): every raster reoriented by every operation, in the
+    next split; image_id is -1 less a number of its own."""
     from splitguard.operators.orient import orient
 
-    chosen = images.where(F.pmod("image_id", F.lit(every)) == rest)
-    names = F.array(*[F.lit(op) for op in ops])
-    wanted = F.element_at(names, (F.expr(f"image_id div {every}") % len(ops) + 1).cast("int"))
-    turned = orient(chosen, ops).where(F.col("op") == wanted)
     following = F.create_map(*[F.lit(x) for x in ("train", "val", "val", "test", "test", "train")])
-    return turned.select(
-        (F.col("image_id") + 1_000_000).alias("image_id"), following[F.col("split")].alias("split"),
+    nth = F.array_position(F.array(*[F.lit(op) for op in ops]), F.col("op")) - 1
+    return orient(images, ops).select(
+        (-1 - (F.col("image_id") * len(ops) + nth)).alias("image_id"), following[F.col("split")].alias("split"),
         "payload", F.col("image_id").alias("source_id"), "op",
     )
 
 
+def index_size(hashed: DataFrame) -> DataFrame:
+    """(n_images, n_versions, n_keys, bytes_an_image, bytes_a_key) of (image_id, hashes): 8 bytes a
+    version kept with an image; a key of the index holds hash, least image and count, 24 bytes."""
+    versions = hashed.select("image_id", F.explode("hashes").alias("hash")).where("hash is not null")
+    keys = versions.groupBy("hash").agg(F.count(F.lit(1)).alias("n"))
+    made = keys.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n_versions"), F.count(F.lit(1)).alias("n_keys"))
+    images = hashed.agg(F.count(F.lit(1)).alias("n_images"))
+    return images.join(made, how="left").select(  # two rows of counts
+        "n_images", "n_versions", "n_keys",
+        (8 * F.col("n_versions") / F.when(F.col("n_images") > 0, F.col("n_images"))).alias("bytes_an_image"),
+        F.lit(24).alias("bytes_a_key"),
+    )
+
+
 def planted_recall(copies: DataFrame, originals: DataFrame) -> DataFrame:
     """(op, n, found_oo, found_oa, found_aa) of copies (source_id, op, hashes) in their originals."""
     pairs = copies.select("source_id", "op", F.col("hashes").alias("c")).join(

@@ -12,6 +12,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -32,26 +33,39 @@ def with_split(df: DataFrame, key: str = "image_id", ratios=RATIOS) -> DataFrame
     return df.withColumn("split", split_of(F.col(key), ratios))
 
 
+def flat_values(column: pa.Array) -> np.ndarray:
+    """All cells of a column of lists, end to end, without a Python object for any of them."""
+    return column.flatten().to_numpy(zero_copy_only=False)
+
+
 # ---- rasterisers over Arrow columns: (n,) payloads -> (n, 32, 32) integers ---------
 
 
 def scan_rasters(column: pa.Array) -> np.ndarray:
-    """Bytes of a text laid over 64 x 64 pixels in reading order, then 2 x 2 box sums."""
+    """Bytes of a whole text laid over 64 x 64 pixels in reading order, then 2 x 2 box sums.
+
+    A pixel is the mean, rounded down, of the bytes that fall on it; of a text with fewer bytes
+    than pixels, a byte falls on several.
+    """
     out = np.zeros((len(column), SIDE, SIDE), np.int64)
-    grid = np.arange(4 * SIDE * SIDE, dtype=np.int64)
+    grid = np.arange(4 * SIDE * SIDE + 1, dtype=np.int64)
     for i, value in enumerate(column):
         text = value.as_py()
         data = text.encode("utf-8", "surrogatepass") if isinstance(text, str) else text
         if not data:
             continue
-        cells = np.frombuffer(data, np.uint8)[(grid * len(data)) >> 12]
+        cells, edges = np.frombuffer(data, np.uint8), (grid * len(data)) >> 12
+        if len(data) <= 4 * SIDE * SIDE:
+            cells = cells[edges[:-1]]
+        else:
+            cells = np.add.reduceat(cells, edges[:-1], dtype=np.int64) // np.diff(edges)
         out[i] = cells.reshape(SIDE, 2, SIDE, 2).sum(axis=(1, 3), dtype=np.int64)
     return out
 
 
 def vector_rasters(column: pa.Array) -> np.ndarray:
     """64 numbers as 8 x 8 grey cells, each repeated to 4 x 4."""
-    flat = np.array(column.to_pylist(), float).reshape(len(column), 8, 8)
+    flat = flat_values(column).astype(float).reshape(len(column), 8, 8)
     grey = np.clip(np.floor(flat * 255 + 127.5), 0, 255).astype(np.int64)
     return grey.repeat(4, axis=1).repeat(4, axis=2)
 
@@ -70,7 +84,7 @@ def bigram_rasters(column: pa.Array) -> np.ndarray:
 
 
 def pixel_rasters(column: pa.Array) -> np.ndarray:
-    return np.array(column.to_pylist(), np.int64).reshape(len(column), SIDE, SIDE)
+    return flat_values(column).astype(np.int64).reshape(len(column), SIDE, SIDE)
 
 
 RASTERISERS: dict[str, Callable[[pa.Array], np.ndarray]] = {
@@ -157,6 +171,50 @@ def fit_array(grey: np.ndarray, side: int = SIDE) -> np.ndarray:
     return 16 * weighted // (high * wide)
 
 
+def by_size(batch: pa.RecordBatch, least: int) -> tuple[list[str | None], Iterator[tuple[np.ndarray, np.ndarray]]]:
+    """(reason why a row is no raster, or None, a row; (rows, (n, height, width) cells) a size).
+
+    A raster has least x least cells at least, fills its sides and has no null cell.
+    """
+    def sides(name: str) -> np.ndarray:
+        return batch.column(name).fill_null(-1).to_numpy(zero_copy_only=False).astype(np.int64)
+
+    pixels, high, wide = batch.column("pixels"), sides("height"), sides("width")
+    sizes = pc.fill_null(pc.list_value_length(pixels), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = pixels.flatten()
+    begins = np.cumsum(np.maximum(sizes, 0)) - np.maximum(sizes, 0)
+    holes = np.zeros(len(sizes), bool)
+    if flat.null_count:
+        at = np.flatnonzero(flat.is_null().to_numpy(zero_copy_only=False))
+        holes[np.searchsorted(begins + np.maximum(sizes, 0), at, "right")] = True
+    cells = flat.fill_null(0).to_numpy(zero_copy_only=False)
+    tests = [
+        ("no pixels", (sizes < 0) | (high < 0) | (wide < 0)),
+        ("pixels do not fill the raster", sizes != high * wide),
+        ("smaller than the target", np.minimum(high, wide) < least),
+        ("null pixel", holes),
+    ]
+    reasons = [next((name for name, bad in tests if bad[i]), None) for i in range(len(sizes))]
+    good = np.array([r is None for r in reasons], bool)
+
+    def groups() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        for h, w in sorted(set(zip(high[good].tolist(), wide[good].tolist()))):
+            rows = np.flatnonzero(good & (high == h) & (wide == w))
+            step = max(1, (1 << 22) // (h * w))  # 32 MB of cells at once
+            for part in (rows[i : i + step] for i in range(0, len(rows), step)):
+                yield part, cells[begins[part][:, None] + np.arange(h * w)].reshape(len(part), h, w)
+
+    return reasons, groups()
+
+
+def fit_many(grey: np.ndarray, side: int = SIDE) -> np.ndarray:
+    """fit_array of (n, height, width) rasters; all sums are exact in double precision."""
+    high, wide = grey.shape[1:]
+    down, across = area_weights(high, side).astype(float), area_weights(wide, side).astype(float)
+    sums = np.rint(down @ (grey.astype(float) @ across.T)).astype(np.int64)
+    return 16 * sums // (high * wide)
+
+
 def fit_rasters(images: DataFrame, side: int = SIDE, on_bad: str = "null") -> DataFrame:
     """(image_id, split, pixels, reason) from (image_id, split, height, width, pixels).
 
@@ -166,31 +224,17 @@ def fit_rasters(images: DataFrame, side: int = SIDE, on_bad: str = "null") -> Da
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            cells, reasons = [], []
-            for row in batch.select(["height", "width", "pixels"]).to_pylist():
-                h, w, p = row["height"], row["width"], row["pixels"]
-                reason = None
-                if p is None or h is None or w is None:
-                    reason = "no pixels"
-                elif len(p) != h * w:
-                    reason = "pixels do not fill the raster"
-                elif h < side or w < side:
-                    reason = "smaller than the target"
-                elif any(x is None for x in p):
-                    reason = "null pixel"
-                if reason and on_bad == "raise":
-                    raise ValueError(reason)
-                reasons.append(reason)
-                cells.append(
-                    None if reason else fit_array(np.array(p).reshape(h, w), side).ravel().tolist()
-                )
+            reasons, groups = by_size(batch, side)
+            if on_bad == "raise" and any(reasons):
+                raise ValueError(next(r for r in reasons if r))
+            cells = np.zeros((batch.num_rows, side * side), np.int32)
+            for rows, grey in groups:
+                cells[rows] = fit_many(grey, side).reshape(len(rows), side * side)
+            bad = np.array([r is not None for r in reasons], bool)
+            ends = np.arange(batch.num_rows + 1, dtype=np.int32) * side * side
+            pixels = pa.ListArray.from_arrays(pa.array(ends), pa.array(cells.reshape(-1)), mask=pa.array(bad))
             yield pa.RecordBatch.from_arrays(
-                [
-                    batch.column("image_id"),
-                    batch.column("split"),
-                    pa.array(cells, pa.list_(pa.int32())),
-                    pa.array(reasons, pa.string()),
-                ],
+                [batch.column("image_id"), batch.column("split"), pixels, pa.array(reasons, pa.string())],
                 names=["image_id", "split", "pixels", "reason"],
             )
 

@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from splitguard import oracles as O
 from splitguard.functions.dct import ALL_OPS, PAPER_OPS
+from splitguard.functions.runtime import ensure_checkpoint_dir, reliable
 from splitguard.operators import collide, dedup, galleries, measures, raster
 from splitguard.operators import fingerprint as fp
-from splitguard.plans.band_join import near_hashes, near_matches
+from splitguard.plans.band_join import near_hashes
 from splitguard.plans.hashing import pixel_collection
 from splitguard.sources.carriers import collection, table
 
@@ -17,21 +20,21 @@ SPLITS = list(raster.SPLITS)
 
 
 def hashes(spark, sf_dir, name, threshold="mean_ac") -> DataFrame:
-    """(image_id, split, hash)."""
+    """(image_id, split, hash): a checkpointed table, so that a payload is read and hashed once."""
     c = collection(spark, sf_dir, name)
-    return fp.phash(c.images, c.kind, threshold=threshold)
+    return reliable(fp.phash(c.images, c.kind, threshold=threshold))
 
 
 def versions(spark, sf_dir, name, ops=PAPER_OPS, threshold="mean_ac") -> DataFrame:
-    """(image_id, split, hashes)."""
+    """(image_id, split, hashes), checkpointed."""
     c = collection(spark, sf_dir, name)
-    return fp.fingerprints(c.images, c.kind, fp.Hash("hashes", threshold=threshold, ops=tuple(ops)))
+    return reliable(fp.fingerprints(c.images, c.kind, fp.Hash("hashes", threshold=threshold, ops=tuple(ops))))
 
 
 def two_hashes(spark, sf_dir, name) -> DataFrame:
     c = collection(spark, sf_dir, name)
-    return fp.fingerprints(
-        c.images, c.kind, fp.Hash("phash", threshold="mean_ac"), fp.Hash("ahash", kind="ahash")
+    return reliable(
+        fp.fingerprints(c.images, c.kind, fp.Hash("phash", threshold="mean_ac"), fp.Hash("ahash", kind="ahash"))
     )
 
 
@@ -140,8 +143,14 @@ def near_matches_tau2_part(spark, sf_dir):
 
 
 def near_matches_tau4_embeddings(spark, sf_dir):
+    """Near hashes with their groups: members are those of the index."""
     h = hashes(spark, sf_dir, "embeddings", "sign_ac")
-    return near_matches(h, h, 4)
+    index = reliable(collide.hash_index(h))
+    near = near_hashes(h, h, 4).where("hash_a < hash_b")
+    for side in ("a", "b"):
+        own = index.select(F.col("hash").alias(f"hash_{side}"), F.col("min_id").alias(f"min_{side}"), F.col("n").alias(f"n_{side}"))
+        near = near.join(own, f"hash_{side}")
+    return near
 
 
 def hamming_pairs_brute_embeddings(spark, sf_dir):
@@ -200,7 +209,7 @@ def group_size_histogram_part(spark, sf_dir):
 def _remove(name):
     def run(spark, sf_dir):
         v = dedup.retain_unique(versions(spark, sf_dir, name).where("split <> 'test'"))
-        v = dedup.reliable(v)
+        v = reliable(v)
         return dedup.remove_leakage(_part(v, "train"), _part(v, "val")).select("image_id")
 
     return run
@@ -211,7 +220,7 @@ _FINAL = """leak AS (SELECT DISTINCT image_id FROM v JOIN kept USING (image_id,
 
 
 def sanitize_report(spark: SparkSession, sf_dir: str, name: str, priority=("val", "train")) -> DataFrame:
-    return dedup.sanitize(dedup.reliable(versions(spark, sf_dir, name)), priority=priority)[1]
+    return dedup.sanitize(versions(spark, sf_dir, name), priority=priority)[1]
 
 
 def _sanitize(name):
@@ -231,7 +240,50 @@ def sanitize_three_way_part(spark, sf_dir):
 
 def leak_pairs_documents(spark, sf_dir):
     h = hashes(spark, sf_dir, "documents")
-    return dedup.leak_pairs(_part(h, "train"), _part(h, "val"), 3)
+    return dedup.leak_pairs(_part(h, "train"), _part(h, "val"))
+
+
+def leak_members_documents(spark, sf_dir):
+    h = hashes(spark, sf_dir, "documents")
+    return dedup.leak_members(_part(h, "train"), _part(h, "val"))
+
+
+def write_clean_part(spark, sf_dir):
+    """Cleaned splits written as Parquet and read again: (split, n, n_hashes)."""
+    path = f"{ensure_checkpoint_dir(spark)}/clean-{uuid.uuid4().hex}"
+    dedup.write_clean(dedup.sanitize(versions(spark, sf_dir, "part"))[0], path)
+    back = spark.read.parquet(path)
+    return back.groupBy("split").agg(F.count(F.lit(1)).alias("n"), F.sum(F.size("hashes")).alias("n_versions"))
+
+
+# ---- images without a fingerprint -------------------------------------------------------
+
+
+def _unreadable(spark, sf_dir):
+    """Versions of part, every tenth image without any."""
+    return versions(spark, sf_dir, "part").withColumn("hashes", F.when(F.col("image_id") % 10 != 0, F.col("hashes")))
+
+
+def overlap_unreadable_part(spark, sf_dir):
+    v = _unreadable(spark, sf_dir)
+    return collide.overlap_matrix(v, SPLITS, "oo").unionByName(collide.overlap_matrix(v, SPLITS, "aa"))
+
+
+def dedup_unreadable_part(spark, sf_dir):
+    """Images that stay under each policy, the copies and the groups counted beside them."""
+    v = _unreadable(spark, sf_dir).withColumn("split", F.lit("all"))
+    out = None
+    for policy in ("first_seen", "canonical"):
+        kept = dedup.retain_unique(v, policy).agg(F.lit(policy).alias("what"), F.count(F.lit(1)).alias("n"))
+        out = kept if out is None else out.unionByName(kept)
+    h = v.select("image_id", "split", F.element_at("hashes", 1).alias("hash"))
+    copies = collide.self_overlap(h).select(F.lit("copies").alias("what"), F.col("n_hits").alias("n"))
+    groups = dedup.group_size_histogram(h).agg(F.lit("grouped").alias("what"), F.sum("n_images").alias("n"))
+    return out.unionByName(copies).unionByName(groups)
+
+
+def index_size_part(spark, sf_dir):
+    return measures.index_size(versions(spark, sf_dir, "part"))
 
 
 # ---- measures -------------------------------------------------------------------------
@@ -269,13 +321,13 @@ def verify_collisions_part(spark, sf_dir):
     h = hashes(spark, sf_dir, "part")
     index = collide.hash_index(h).where("n > 1")
     pairs = h.join(index, "hash").where("image_id > min_id").select(F.col("min_id").alias("id_a"), F.col("image_id").alias("id_b"))
-    pixels = pixel_collection(spark, sf_dir, "part").withColumnRenamed("payload", "pixels")
+    pixels = reliable(pixel_collection(spark, sf_dir, "part").withColumnRenamed("payload", "pixels"))
     return measures.verify_pairs(pairs, pixels)
 
 
 def planted_recall_by_op(spark, sf_dir):
-    images = pixel_collection(spark, sf_dir, "embeddings")
-    copies = measures.planted_copies(images, ALL_OPS)
+    images = reliable(pixel_collection(spark, sf_dir, "embeddings"))
+    copies = reliable(measures.planted_copies(images, ALL_OPS))
     spec = fp.Hash("hashes", threshold="mean_ac", ops=PAPER_OPS)
     made = fp.fingerprints(copies, "pixels", spec)
     tagged = made.join(copies.select("image_id", "source_id", "op"), "image_id")
@@ -291,7 +343,7 @@ def depth_ablation_documents(spark, sf_dir):
 
 def _flat(name):
     def run(spark, sf_dir):
-        pixels = pixel_collection(spark, sf_dir, name)
+        pixels = reliable(pixel_collection(spark, sf_dir, name))
         return measures.flat_audit(fp.phash(pixels, threshold="mean_ac"), pixels.withColumnRenamed("payload", "pixels"))
 
     return run, O.with_(f"""{O.hashed(name)}, m AS (SELECT image_id, count(*) OVER (PARTITION BY hash) > 1 AS collided FROM v),
@@ -330,6 +382,24 @@ def gallery_two_hashes_part(spark, sf_dir):
     return galleries.gallery_two_hashes(two_hashes(spark, sf_dir, "part"), "val", "train")
 
 
+def _unreadable_matrix() -> str:
+    """Nine cells official and nine augmented, every tenth image in the sizes alone."""
+    rows = []
+    for mode, nth in (("oo", "nth = 0"), ("aa", "true")):
+        for s in SPLITS:
+            for t in SPLITS:
+                size = f"(SELECT count(*) FROM r WHERE split = '{s}' AND {nth}) + (SELECT count(*) FROM ras WHERE split = '{s}' AND image_id % 10 = 0)"
+                hits = f"(SELECT count(*) FROM r WHERE split = '{s}' AND {nth} AND hash IN (SELECT hash FROM r WHERE split = '{t}' AND {nth}))"
+                if s == t and mode == "oo":
+                    hits = f"(SELECT count(*) - count(DISTINCT hash) FROM r WHERE split = '{s}' AND nth = 0)"
+                elif s == t:
+                    size = f"(SELECT count(*) FROM ras WHERE split = '{s}')"
+                    hits = f"(SELECT count(DISTINCT image_id) FROM r WHERE split = '{s}') - (SELECT count(*) FROM kept WHERE split = '{s}')"
+                rows.append(f"SELECT '{s}' AS search, '{t}' AS target, '{mode}' AS mode, {size} AS n_search, {hits} AS n_hits")
+    return O.with_(f"{O.hashed('part', ops=PAPER_OPS)}, r AS MATERIALIZED (SELECT * FROM v WHERE image_id % 10 <> 0), {O.kept_cte('r')}",
+        f"SELECT *, 100.0::DOUBLE * n_hits / n_search AS overlap_pct FROM ({' UNION ALL '.join(rows)})")
+
+
 def entries():
     doc, part = O.hashed("documents"), O.hashed("part")
     part6, doc6 = O.hashed("part", ops=PAPER_OPS), O.hashed("documents", ops=PAPER_OPS)
@@ -402,7 +472,9 @@ hit AS (SELECT * FROM h WHERE kind = 'i' AND hash IN (SELECT hash FROM h WHERE k
         "near_matches_tau2_part": (near_matches_tau2_part, O.with_(f"{part}, u AS (SELECT DISTINCT hash FROM v)",
             "SELECT a.hash AS hash_a, b.hash AS hash_b, bit_count(xor(a.hash, b.hash))::INTEGER AS distance FROM u AS a JOIN u AS b ON a.hash < b.hash AND bit_count(xor(a.hash, b.hash)) <= 2")),
         "near_matches_tau4_embeddings": (near_matches_tau4_embeddings, O.with_(O.hashed("embeddings", "sign_ac"),
-            "SELECT a.image_id AS id_a, b.image_id AS id_b, bit_count(xor(a.hash, b.hash))::INTEGER AS distance FROM v AS a JOIN v AS b ON a.image_id < b.image_id AND bit_count(xor(a.hash, b.hash)) <= 4")),
+            """SELECT a.hash AS hash_a, b.hash AS hash_b, bit_count(xor(a.hash, b.hash))::INTEGER AS distance, a.i AS min_a, a.n AS n_a, b.i AS min_b, b.n AS n_b
+FROM (SELECT hash, min(image_id) AS i, count(*) AS n FROM v GROUP BY hash) AS a JOIN (SELECT hash, min(image_id) AS i, count(*) AS n FROM v GROUP BY hash) AS b
+ON a.hash < b.hash AND bit_count(xor(a.hash, b.hash)) <= 4""")),
         "hamming_pairs_brute_embeddings": (hamming_pairs_brute_embeddings, O.with_(O.hashed("embeddings", "sign_ac"),
             "SELECT a.image_id AS id_a, b.image_id AS id_b, bit_count(xor(a.hash, b.hash))::INTEGER AS distance FROM v AS a JOIN v AS b ON a.image_id < b.image_id AND bit_count(xor(a.hash, b.hash)) <= 12")),
         "lineitem_part_leakage": (lineitem_part_leakage, O.with_(f"""{part}, r AS (SELECT v.hash, o_orderdate >= TIMESTAMP '1997-01-01' AS late
@@ -425,7 +497,7 @@ reach AS (SELECT a, b FROM links UNION SELECT reach.a, links.b FROM reach JOIN l
         "dedup_canonical_part": (_dedup("part", ALL_OPS, "canonical"), O.with_(O.hashed("part", ops=ALL_OPS),
             "SELECT min(image_id) AS image_id, split FROM (SELECT image_id, split, min(hash) AS k FROM v GROUP BY ALL) GROUP BY split, k")),
         "duplicate_groups_documents": (duplicate_groups_documents, O.with_(doc,
-            "SELECT min(image_id) AS group_id, count(*) AS n, array_to_string(list_sort(list(image_id))[1:10], ',') AS members FROM v GROUP BY hash HAVING count(*) > 1")),
+            "SELECT * FROM (SELECT min(image_id) OVER (PARTITION BY hash) AS group_id, count(*) OVER (PARTITION BY hash) AS n, image_id FROM v) WHERE n > 1")),
         "group_size_histogram_part": (group_size_histogram_part, O.with_(part,
             "SELECT size, count(*) AS n_groups, sum(size)::BIGINT AS n_images FROM (SELECT count(*) AS size FROM v GROUP BY hash) GROUP BY size")),
         "remove_leakage_documents": (_remove("documents"), O.with_(f"{doc6}, {kept}, {_FINAL}",
@@ -442,9 +514,25 @@ train_out AS (SELECT DISTINCT image_id FROM k WHERE split = 'train' AND (hash IN
     (SELECT count(*) FROM kept WHERE split = s) AS n_unique, (SELECT count(*) FROM kept WHERE split = s)
     - CASE s WHEN 'val' THEN (SELECT count(*) FROM val_out) WHEN 'train' THEN (SELECT count(*) FROM train_out) ELSE 0 END AS n_final
 FROM (VALUES ('test'), ('val'), ('train')) AS t(s)""")),
-        "leak_pairs_documents": (leak_pairs_documents, O.with_(f"""{doc}, f AS (SELECT hash, image_id AS train_id FROM v WHERE split = 'train'
-    QUALIFY row_number() OVER (PARTITION BY hash ORDER BY image_id) <= 3)""",
-            "SELECT image_id AS held_id, train_id, hash FROM v JOIN f USING (hash) WHERE split = 'val'")),
+        "leak_pairs_documents": (leak_pairs_documents, O.with_(f"""{doc}, f AS (SELECT hash, min(image_id) AS train_id, count(*) AS n_train
+    FROM v WHERE split = 'train' GROUP BY hash)""",
+            "SELECT image_id AS held_id, hash, train_id, n_train FROM v JOIN f USING (hash) WHERE split = 'val'")),
+        "leak_members_documents": (leak_members_documents, O.with_(doc,
+            "SELECT hash, image_id AS train_id FROM v WHERE split = 'train' AND hash IN (SELECT hash FROM v WHERE split = 'val')")),
+        "write_clean_part": (write_clean_part, O.with_(f"{part6}, {kept}, {_FINAL}",
+            """SELECT split, count(*) AS n, 6 * count(*) AS n_versions FROM kept
+WHERE split = 'val' OR (split = 'train' AND image_id NOT IN (SELECT image_id FROM leak)) GROUP BY split""")),
+        "overlap_unreadable_part": (overlap_unreadable_part, _unreadable_matrix()),
+        "dedup_unreadable_part": (dedup_unreadable_part, O.with_(f"""{O.hashed('part', ops=ALL_OPS)}, r AS (SELECT * FROM v WHERE image_id % 10 <> 0),
+gone AS (SELECT count(*) AS n FROM ras WHERE image_id % 10 = 0), own AS (SELECT hash, min(image_id) AS owner FROM r WHERE nth < 6 GROUP BY hash),
+first AS (SELECT image_id FROM r JOIN own USING (hash) WHERE nth < 6 GROUP BY image_id HAVING min(owner) = image_id),
+least AS (SELECT image_id, min(hash) AS k FROM r WHERE nth < 6 GROUP BY image_id)""",
+            """SELECT 'first_seen' AS what, (SELECT count(*) FROM first) + n AS n FROM gone
+UNION ALL SELECT 'canonical', (SELECT count(DISTINCT k) FROM least) + n FROM gone
+UNION ALL SELECT 'copies', (SELECT count(*) - count(DISTINCT hash) FROM r WHERE nth = 0)
+UNION ALL SELECT 'grouped', (SELECT count(*) FROM r WHERE nth = 0)""")),
+        "index_size_part": (index_size_part, O.with_(part6, """SELECT count(DISTINCT image_id) AS n_images, count(*) AS n_versions,
+    count(DISTINCT hash) AS n_keys, 8.0::DOUBLE * count(*) / count(DISTINCT image_id) AS bytes_an_image, 24 AS bytes_a_key FROM v""")),
         "compare_hashes_documents": _compare("documents"),
         "compare_hashes_part": _compare("part"),
         "hash_agreement_part": (hash_agreement_part, O.with_(f"{part}, {O.ahash_cte()}", agree)),
@@ -455,9 +543,8 @@ FROM (VALUES ('test'), ('val'), ('train')) AS t(s)""")),
     list_sum(list_transform(range(1, 1025), lambda i: abs(x.g[i] - y.g[i])))::BIGINT AS d
     FROM v JOIN o USING (hash) JOIN ras AS x ON x.image_id = o.id_a JOIN ras AS y ON y.image_id = v.image_id WHERE v.image_id > o.id_a)""")),
         "planted_recall_by_op": (planted_recall_by_op, "SELECT op, n, CASE WHEN op = 'id' THEN n ELSE 0 END AS found_oo, "
-            "CASE WHEN op IN ('transpose', 'anti') THEN 0 ELSE n END AS found_oa, n AS found_aa FROM (SELECT (["
-            + ", ".join(f"'{op}'" for op in ALL_OPS)
-            + "])[(vec_id // 7) % 8 + 1] AS op, count(*) AS n FROM embeddings WHERE vec_id % 7 = 3 GROUP BY 1)"),
+            "CASE WHEN op IN ('transpose', 'anti') THEN 0 ELSE n END AS found_oa, n AS found_aa FROM "
+            "(SELECT op, count(*) AS n FROM embeddings, (VALUES " + ", ".join(f"('{op}')" for op in ALL_OPS) + ") AS t(op) GROUP BY op)"),
         "depth_ablation_documents": (depth_ablation_documents, O.with_(
             ", ".join([O.raster_cte("documents"), *[O.block_ctes(out=f"blk{k}", side=k) for k in (8, 12, 16)]]), depth)),
         "flat_audit_ledger": _flat("ledger"),

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from splitguard import oracles as O
 from splitguard.functions.dct import PAPER_OPS
 from splitguard.functions.register import leakage_report, register
+from splitguard.operators import collide
 from splitguard.operators import fingerprint as fp
 from splitguard.operators.raster import split_of
 from splitguard.plans.asof import as_of_join, interval_join
@@ -71,11 +72,10 @@ def _hinted(how):
 
 
 def join_theta_hamming(spark, sf_dir):
+    """The stated queries, every id divisible by 20, against all other pages."""
     h = hashes(spark, sf_dir, "pages")
-    probe = h.where("image_id < 40").select(F.col("image_id").alias("a"), F.col("hash").alias("ha"))
-    other = h.where("image_id >= 40").select(F.col("image_id").alias("b"), F.col("hash").alias("hb"))
-    far = fp.hamming(F.col("ha"), F.col("hb"))
-    return probe.join(other, far <= 16).select("a", "b", far.cast("int").alias("distance"))
+    near = collide.hamming_search(h.where("image_id % 20 = 0"), h, 16)
+    return near.where("a <> b")
 
 
 def join_asof_events_orders(spark, sf_dir):
@@ -282,10 +282,10 @@ def stream_dedup_events(spark, sf_dir):
 
 
 def stream_leak_guard(spark, sf_dir):
-    """Purchases arriving as a stream, judged against a static index of user hashes."""
-    index = table(spark, sf_dir, "events").where("event_type = 'click'").select(F.col("user_id").alias("hash"))
-    arrivals = guard.event_stream(spark, sf_dir).where("event_type = 'purchase'").select("event_id", F.col("user_id").alias("hash"))
-    return guard.run_to_table(guard.leak_guard(arrivals, index)).select("event_id", "leaks")
+    """Documents arriving as a stream, fingerprinted and judged against the index of the train split."""
+    index = collide.hash_index(_part(hashes(spark, sf_dir, "documents"), "train"))
+    arrivals = guard.text_stream(spark, sf_dir, "documents", "doc_id", "text").where("split <> 'train'")
+    return guard.run_to_table(guard.raster_guard(arrivals, index, "text"))
 
 
 def stream_first_seen_state(spark, sf_dir):
@@ -339,7 +339,7 @@ WHERE lang IN ('en', 'fr') AND n_chars BETWEEN 500 AND 1500 AND source LIKE 'src
         "join_hint_hash": (_hinted("shuffle_hash"), brand),
         "join_hint_merge": (_hinted("merge"), brand),
         "join_theta_hamming": (join_theta_hamming, O.with_(page, """SELECT x.image_id AS a, y.image_id AS b, bit_count(xor(x.hash, y.hash))::INTEGER AS distance
-FROM v AS x JOIN v AS y ON x.image_id < 40 AND y.image_id >= 40 AND bit_count(xor(x.hash, y.hash)) <= 16""")),
+FROM v AS x JOIN v AS y ON x.image_id % 20 = 0 AND x.image_id <> y.image_id AND bit_count(xor(x.hash, y.hash)) <= 16""")),
         "join_asof_events_orders": (join_asof_events_orders, """WITH o AS (SELECT o_orderkey, o_custkey % 10 AS k,
     TIMESTAMP '2024-01-01' + to_days((o_orderkey % 30)::INTEGER) + to_hours(o_custkey % 24) AS order_ts FROM orders)
 SELECT o_orderkey, (SELECT arg_max(event_id, (ts, event_id)) FROM events WHERE user_id = k AND ts <= order_ts) AS event_id FROM o"""),
@@ -389,11 +389,11 @@ FROM (SELECT *, date_diff('day', DATE '1970-01-01', o_orderdate::DATE) AS d FROM
         SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 8 HOUR THEN 0 ELSE 1 END AS fresh FROM events))
 GROUP BY user_id, session"""),
         "stream_dedup_events": (stream_dedup_events, "SELECT DISTINCT props FROM events"),
-        "stream_leak_guard": (stream_leak_guard, "SELECT event_id, user_id IN (SELECT user_id FROM events WHERE event_type = 'click') AS leaks FROM events WHERE event_type = 'purchase'"),
+        "stream_leak_guard": (stream_leak_guard, O.with_(doc, """SELECT v.image_id, v.hash, t.hash IS NOT NULL AS leaks, t.known_id
+FROM v LEFT JOIN (SELECT hash, min(image_id) AS known_id FROM v WHERE split = 'train' GROUP BY hash) AS t USING (hash) WHERE v.split <> 'train'""")),
         "stream_first_seen_state": (stream_first_seen_state, "SELECT user_id AS key, count(*) AS n, strftime(min(ts), '%Y-%m-%d %H') AS first_hour FROM events GROUP BY 1"),
         "udf_phash_sql": (udf_phash_sql, O.with_(f"{page}, {O.ahash_cte()}", "SELECT image_id, v.hash, ah.hash AS average, bit_count(xor(v.hash, ah.hash))::INTEGER AS apart FROM v JOIN ah USING (image_id)")),
         "udtf_orientations": (udtf_orientations, O.with_(O.hashed("pages", ops=PAPER_OPS), "SELECT image_id, op, hash FROM v")),
         "udaf_bit_balance": (udaf_bit_balance, O.with_(page, "SELECT split, round(avg(bit_count(hash)), 6) AS mean_bits FROM v GROUP BY split")),
-        "sql_leakage_report": (sql_leakage_report, O.with_(part, """SELECT s AS search, 'train' AS target, count(*) AS n_search, count(*) FILTER (hash IN (SELECT hash FROM v WHERE split = 'train')) AS n_hits
-FROM v JOIN (VALUES ('val'), ('test')) AS t(s) ON split = s GROUP BY s""")),
+        "sql_leakage_report": (sql_leakage_report, O.with_(part, f"SELECT search, target, n_search, n_hits FROM ({O.matrix('v', 'v', 'oo', False)})")),
     }

@@ -12,6 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from splitguard.functions.runtime import ensure_checkpoint_dir
+from splitguard.operators.fingerprint import phash
+from splitguard.operators.raster import with_split
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -30,19 +32,31 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over what is available now, with checkpointed state, and read its result."""
+    """Run a stream over what is available now, with checkpointed state, and read its result.
+
+    Results go to Parquet in the shared folder, a folder a micro-batch, and never to the driver.
+    The last complete result counts, or all appended or updated rows.
+    """
     spark = stream.sparkSession
-    name = f"stream_{uuid.uuid4().hex}"
+    base = f"{ensure_checkpoint_dir(spark)}/stream-{uuid.uuid4().hex}"
+    batches: list[str] = []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        path = f"{base}/rows/{number}"
+        batch.write.mode("overwrite").parquet(path)  # a batch that is run again replaces itself
+        batches.append(path)
+
     query = (
-        stream.writeStream.format("memory")
-        .queryName(name)
+        stream.writeStream.foreachBatch(keep)
         .outputMode(mode)
-        .option("checkpointLocation", f"{ensure_checkpoint_dir(spark)}/{name}")
+        .option("checkpointLocation", f"{base}/state")
         .trigger(availableNow=True)
         .start()
     )
     query.awaitTermination()
-    return spark.table(name)
+    if not batches:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*(batches[-1:] if mode == "complete" else sorted(set(batches))))
 
 
 def run_to_parquet(stream: DataFrame, path: str, checkpoint: str) -> None:
@@ -100,6 +114,14 @@ def first_arrivals(events: DataFrame, key: str, late: str = "60 days") -> DataFr
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark([key])
 
 
+def text_stream(spark: SparkSession, sf_dir: str, name: str, key: str, text: str) -> DataFrame:
+    """A table's texts as a stream of a collection (image_id, split, payload)."""
+    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
+    raw = spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
+    slim = raw.select(F.col(key).cast("long").alias("image_id"), F.col(text).alias("payload"))
+    return with_split(slim).select("image_id", "split", "payload")
+
+
 def leak_guard(arrivals: DataFrame, index: DataFrame) -> DataFrame:
     """arrivals (hash, ...) with `leaks`: whether the hash is in a static index."""
     known = index.select(F.col("hash").alias("known_hash")).distinct()
@@ -107,6 +129,15 @@ def leak_guard(arrivals: DataFrame, index: DataFrame) -> DataFrame:
     return joined.withColumn("leaks", F.col("known_hash").isNotNull()).drop("known_hash")
 
 
+def raster_guard(arrivals: DataFrame, index: DataFrame, kind: str, threshold: str = "mean_ac") -> DataFrame:
+    """(image_id, hash, leaks, known_id) of arriving rasters (image_id, split, payload): each is
+    fingerprinted as it arrives and looked up in a static index (hash, min_id, ...)."""
+    known = index.select(F.col("hash").alias("known_hash"), F.col("min_id").alias("known_id"))
+    hashed = phash(arrivals, kind, threshold=threshold)
+    joined = hashed.join(known, hashed["hash"] == known["known_hash"], "left")
+    return joined.select("image_id", "hash", F.col("known_hash").isNotNull().alias("leaks"), "known_id")
+
+
 def first_seen_state(events: DataFrame, key: str) -> DataFrame:
     """(key, first_ts, n) by stateful processing: how often each key has arrived so far.
 

@@ -5,6 +5,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from splitguard.functions import runtime
 from splitguard.operators import collide, dedup, galleries, measures
 from splitguard.operators.components import connected_components
 from splitguard.operators.orient import PAPER_OPS
@@ -110,7 +111,7 @@ def test_cleaning_does_not_depend_on_layout(part):
 
 
 def test_heavy_hash(spark, monkeypatch):
-    monkeypatch.setattr(dedup, "HEAVY", 100)
+    monkeypatch.setattr(runtime, "LEAST_HOT", 100)
     hot = spark.range(2000).select(F.col("id").alias("image_id"), F.lit("train").alias("split"), F.array(F.lit(5), F.col("id") + 100).alias("hashes"))
     assert rows(dedup.retain_unique(hot).select("image_id")) == [(0,)]
     assert rows(dedup.retain_unique(hot, "components").select("image_id")) == [(0,)]
