@@ -40,11 +40,13 @@ def decode_netpbm(data: bytes) -> np.ndarray:
     magic, width, height, most = head[1], int(head[2]), int(head[3]), int(head[4])
     colours = 3 if magic in (b"P3", b"P6") else 1
     count = width * height * colours
-    body = data[head.end() :]
+    body = memoryview(data)[head.end() :]
     if magic in (b"P2", b"P3"):
-        flat = np.array(body.split()[:count], np.int64)
+        flat = np.array(bytes(body).split()[:count], np.int64)
     else:
-        flat = np.frombuffer(body, ">u2" if most > 255 else np.uint8)[:count].astype(np.int64)
+        width_of = 2 if most > 255 else 1
+        whole = bytes(body[: count * width_of])
+        flat = np.frombuffer(whole[: len(whole) // width_of * width_of], ">u2" if most > 255 else np.uint8).astype(np.int64)
     if len(flat) < count:
         raise ValueError("the file ends early")
     if colours == 1:
@@ -64,21 +66,24 @@ def read_rasters(spark: SparkSession, path: str, pattern: str = "*.p[gp]m") -> D
     )
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        schema = pa.schema(
-            [("path", pa.string()), ("height", pa.int32()), ("width", pa.int32()),
-             ("pixels", pa.list_(pa.int32())), ("reason", pa.string())]
-        )
         for batch in batches:
-            rows = []
-            for path, content in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                row = {"path": path, "height": None, "width": None, "pixels": None, "reason": None}
+            grey, reasons = [], []
+            for content in batch.column(1):
                 try:
-                    grey = decode_netpbm(content)
-                    row |= {"height": grey.shape[0], "width": grey.shape[1], "pixels": grey.ravel().tolist()}
+                    grey.append(decode_netpbm(content.as_buffer()))
+                    reasons.append(None)
                 except ValueError as bad:
-                    row["reason"] = str(bad)
-                rows.append(row)
-            yield pa.RecordBatch.from_pylist(rows, schema=schema)
+                    grey.append(np.empty((0, 0), np.int64))
+                    reasons.append(str(bad))
+            missing = pa.array([r is not None for r in reasons], pa.bool_())
+            ends = np.cumsum([0, *(g.size for g in grey)]).astype(np.int32)
+            flat = np.concatenate([g.ravel() for g in grey] or [np.empty(0, np.int64)]).astype(np.int32)
+            sides = [pa.array([g.shape[k] for g in grey], pa.int32(), mask=np.array([r is not None for r in reasons], bool)) for k in (0, 1)]
+            pixels = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat), mask=missing)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), *sides, pixels, pa.array(reasons, pa.string())],
+                names=["path", "height", "width", "pixels", "reason"],
+            )
 
     return files.mapInArrow(kernel, IMAGE_SCHEMA)
 
