@@ -41,6 +41,8 @@ SURGE = 60
 #: Outside an article element, a region belongs to the text if it has one part in SHARE of the heaviest's weight.
 SHARE = 8
 OUTSIDE, MAIN, ARTICLE = 0, 1, 2
+#: How often a page may be read in vain for the end of a quoted attribute.
+QUOTED_READS = 16
 
 # Names of elements, and words by which elements name their role.
 _RAW = frozenset("script style noscript template svg iframe object canvas textarea select title audio video".split())
@@ -115,9 +117,11 @@ def _bare(name: str, attrs: str, hints: bool) -> bool:
 def _tags(page: str) -> Iterator[tuple[int, int, str, bool, str]]:
     """(start, end, name, closing, attributes) of all markup; comments and raw elements have no name.
 
-    Every character is looked at a bounded number of times, whatever the markup.
+    Every character is looked at a bounded number of times, whatever the markup: quotes are
+    heeded until searches for a tag's end that ran past all of them have read QUOTED_READS pages.
     """
     last = page.rfind(">")
+    budget = QUOTED_READS * len(page)
     lowered = ""
     at = page.find("<")
     while -1 < at < last:
@@ -135,8 +139,9 @@ def _tags(page: str) -> Iterator[tuple[int, int, str, bool, str]]:
                 at = page.find("<", at + 1)
                 continue
             start = name.end() if name else at
-            end = _ATTRIBUTES.match(page, start).end()
+            end = _ATTRIBUTES.match(page, start).end() if budget > 0 else start
             if not page.startswith(">", end):  # a quote without an end
+                budget -= end - start
                 end = page.find(">", start)
             attrs = page[start:end]
             end += 1
@@ -160,7 +165,7 @@ def page_lines(page: str, hints: bool = True, gap: int = WINDOW - 1) -> list[Lin
     lines: list[Line] = []
     pieces: list[tuple[str, bool]] = []
     at, links, heading = 0, 0, False
-    inside: list[str] = []
+    inside = {"article": 0, "main": 0}  # open elements of either name
     skipped = muted = ""  # the open element whose lines are bare, or whose words are left out of a line
     depth = 0
 
@@ -169,7 +174,7 @@ def page_lines(page: str, hints: bool = True, gap: int = WINDOW - 1) -> list[Lin
         text = " ".join("".join(p for p, _ in pieces).split())
         if text:
             linked = sum(len("".join(p.split())) for p, in_link in pieces if in_link)
-            place = ARTICLE if "article" in inside else MAIN if inside else OUTSIDE
+            place = ARTICLE if inside["article"] else MAIN if inside["main"] else OUTSIDE
             lines.append(Line(text, min(linked, len(text)), place, heading, bool(skipped)))
         pieces = []
 
@@ -202,11 +207,8 @@ def page_lines(page: str, hints: bool = True, gap: int = WINDOW - 1) -> list[Lin
             continue
         end_block()
         heading = name in _HEADINGS and not closing
-        if name in ("article", "main"):
-            if not closing:
-                inside.append(name)
-            elif name in inside:
-                del inside[len(inside) - 1 - inside[::-1].index(name)]
+        if name in inside:
+            inside[name] = max(0, inside[name] + (-1 if closing else 1))
             lines += [_BLANK] * gap
     if at < len(page) and not muted:
         tail = page[at:]

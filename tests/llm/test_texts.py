@@ -192,7 +192,7 @@ def test_surge_and_dive_decide(monkeypatch):
     assert all(htmltext.main_text(h) == "" for h in pages)
 
 
-@pytest.mark.parametrize("unit", ['<a "', "<a '>", "<script", "<script>", "<!--", "<div>", "<p>x</p>", "<article>", "<", "class=", "&amp", "</"])
+@pytest.mark.parametrize("unit", ['<a "', "<a '>", "<script", "<script>", "<!--", "<div>", "<p>x</p>", "<article>", "<", "class=", "&amp", "</", '<a ">" ', "<main>x"])
 def test_hostile_pages_take_linear_time(unit):
     page = unit * (1_000_000 // len(unit))
     began = time.perf_counter()
