@@ -154,16 +154,6 @@ def lookup(hashes: DataFrame, index: DataFrame) -> DataFrame:
     )
 
 
-def brute_force_pairs(a: DataFrame, b: DataFrame, tau: int) -> DataFrame:
-    """(id_a, id_b, distance) by comparing all pairs: truth for small sets only."""
-    left = a.select(F.col("image_id").alias("id_a"), F.col("hash").alias("hash_a"))
-    right = b.select(F.col("image_id").alias("id_b"), F.col("hash").alias("hash_b"))
-    far = F.bit_count(F.col("hash_a").bitwiseXOR(F.col("hash_b")))
-    return left.join(right, (far <= tau) & (F.col("id_a") < F.col("id_b"))).select(
-        "id_a", "id_b", far.cast("int").alias("distance")
-    )
-
-
 #: Queries of a search that are broadcast at once.
 BLOCK_QUERIES = 100_000
 
@@ -186,6 +176,15 @@ def hamming_search(queries: DataFrame, rows: DataFrame, tau: int) -> DataFrame:
     return out
 
 
+def brute_force_pairs(a: DataFrame, b: DataFrame, tau: int) -> DataFrame:
+    """(id_a, id_b, distance) by comparing all pairs: the baseline that near_hashes is held against.
+
+    Its work grows with the square of the rows; its memory doesn't, since a goes by in blocks.
+    """
+    near = hamming_search(a, b, tau).where("a < b")
+    return near.select(F.col("a").alias("id_a"), F.col("b").alias("id_b"), "distance")
+
+
 def ops_hits(search: DataFrame, target: DataFrame, ops: tuple[str, ...] = PAPER_OPS) -> DataFrame:
     """(op, n_search, n_hits): official search images found by each operation of the target."""
     wanted = _side(search, False).select("image_id", "hash")

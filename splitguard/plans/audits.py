@@ -155,7 +155,7 @@ def near_matches_tau4_embeddings(spark, sf_dir):
 
 def hamming_pairs_brute_embeddings(spark, sf_dir):
     h = hashes(spark, sf_dir, "embeddings", "sign_ac")
-    return collide.brute_force_pairs(h, h, 12)
+    return collide.brute_force_pairs(h, h, 16)
 
 
 def lineitem_part_leakage(spark, sf_dir):
@@ -476,7 +476,7 @@ hit AS (SELECT * FROM h WHERE kind = 'i' AND hash IN (SELECT hash FROM h WHERE k
 FROM (SELECT hash, min(image_id) AS i, count(*) AS n FROM v GROUP BY hash) AS a JOIN (SELECT hash, min(image_id) AS i, count(*) AS n FROM v GROUP BY hash) AS b
 ON a.hash < b.hash AND bit_count(xor(a.hash, b.hash)) <= 4""")),
         "hamming_pairs_brute_embeddings": (hamming_pairs_brute_embeddings, O.with_(O.hashed("embeddings", "sign_ac"),
-            "SELECT a.image_id AS id_a, b.image_id AS id_b, bit_count(xor(a.hash, b.hash))::INTEGER AS distance FROM v AS a JOIN v AS b ON a.image_id < b.image_id AND bit_count(xor(a.hash, b.hash)) <= 12")),
+            "SELECT a.image_id AS id_a, b.image_id AS id_b, bit_count(xor(a.hash, b.hash))::INTEGER AS distance FROM v AS a JOIN v AS b ON a.image_id < b.image_id AND bit_count(xor(a.hash, b.hash)) <= 16")),
         "lineitem_part_leakage": (lineitem_part_leakage, O.with_(f"""{part}, r AS (SELECT v.hash, o_orderdate >= TIMESTAMP '1997-01-01' AS late
     FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN v ON v.image_id = l_partkey)""",
             "SELECT count(*) FILTER (late) AS n_search, count(*) FILTER (late AND hash IN (SELECT hash FROM r WHERE NOT late)) AS n_hits FROM r")),
