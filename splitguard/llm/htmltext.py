@@ -59,11 +59,12 @@ _ROLES = frozenset(
     "navigation newsletter notice notices overlay pagination popup promo recommended related replies respond "
     "search share sharing sidebar signup social sponsor sponsored subscribe toolbar widget".split()
 )
-#: Words that say where or how big an element is, but not what; beside a role word they change nothing.
+#: Words that say where, how big or whose an element is, but not what; beside a role word they change nothing.
 _LAYOUT = frozenset(
-    "area bar block bottom box center col column container content footer form global header inner item items left "
-    "link links list lower main nav outer page panel post posts primary right row secondary section site small "
-    "sub text thread top unit upper wrap wrapper".split()
+    "area bar block bottom box center col column container content desktop fixed floating footer form global header "
+    "holder inner item items left link links list lower main mobile module nav outer page panel post posts primary "
+    "rail reader readers right row secondary section site slot small sticky strip sub text thread top unit upper "
+    "user users wrap wrapper zone".split()
 )
 
 _NAME = re.compile(r"[a-zA-Z][a-zA-Z0-9:-]*")

@@ -160,6 +160,8 @@ def test_a_page_of_many_blocks_is_kept_whole():
          + "<p>A last paragraph that is long enough to surge by itself, surely.</p>" * 2 + "</div><p><a href=x>menu</a></p>",
          " ".join(["A first paragraph that is long enough to surge by itself, surely."] * 3 + ["one"] * 7
                   + ["A last paragraph that is long enough to surge by itself, surely."] * 2)),
+        ("<article><p>The words of the article.</p><div class=ad-slot>Buy it</div><div id=readerComments><p>First!</p></div></article>",
+         "The words of the article."),
         ("<article>a <span class=ad>b <span>c</span></span> d</article>", "a d"),
     ],
 )
