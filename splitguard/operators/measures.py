@@ -3,15 +3,20 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Iterator
 from itertools import product
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from splitguard.functions.dct import SIDE
 from splitguard.functions.runtime import join_by_key, reliable
 from splitguard.operators.collide import overlap_matrix
-from splitguard.operators.fingerprint import hamming
-from splitguard.operators.raster import SPLITS
+from splitguard.operators.fingerprint import ROWS, hamming
+from splitguard.operators.raster import RASTERISERS, SPLITS
 
 
 def compare_hashes(both: DataFrame, splits: tuple[str, ...] = SPLITS) -> DataFrame:
@@ -89,10 +94,7 @@ def verify_pairs(pairs: DataFrame, pixels: DataFrame) -> DataFrame:
     """(id_a, id_b, sum_abs_diff, mean_abs_diff) of pairs (id_a, id_b), from (image_id, pixels)."""
     a = pixels.select(F.col("image_id").alias("id_a"), F.col("pixels").alias("pa"))
     b = pixels.select(F.col("image_id").alias("id_b"), F.col("pixels").alias("pb"))
-    pairs = pairs.select("id_a", "id_b")
-    # One image may stand in very many pairs: its raster is sent to them, not they to it.
-    held = pairs.groupBy("id_a").agg(F.count(F.lit(1)).alias("n"))
-    both = join_by_key(pairs.join(b, "id_b"), a.join(held, "id_a"), ["id_a"], most_hot=2_000)
+    both = _beside(pairs, a, b)
     total = F.aggregate(
         F.zip_with("pa", "pb", lambda x, y: F.abs(x - y)), F.lit(0).cast("long"), lambda s, x: s + x
     )
@@ -101,6 +103,48 @@ def verify_pairs(pairs: DataFrame, pixels: DataFrame) -> DataFrame:
     )
 
 
+def _beside(pairs: DataFrame, a: DataFrame, b: DataFrame) -> DataFrame:
+    """pairs (id_a, id_b) with the columns of both images.
+
+    Spark takes rasters and texts for much smaller than they are, so the sides are merged and never
+    broadcast, but for those of images in very many pairs: they are sent to the pairs, not they to them.
+    """
+    pairs = reliable(pairs.select("id_a", "id_b"))
+    held = pairs.groupBy("id_a").agg(F.count(F.lit(1)).alias("n"))
+    used = a.hint("merge").join(held, "id_a").hint("merge")
+    return join_by_key(pairs.join(b.hint("merge"), "id_b"), used, ["id_a"], most_hot=2_000)
+
+
+def verify_payloads(pairs: DataFrame, images: DataFrame, kind: str) -> DataFrame:
+    """verify_pairs from a collection (image_id, split, payload): payloads are shuffled, and rasters
+    made of them a batch at a time. Without a payload there is no difference."""
+    make = RASTERISERS[kind]
+    sides = [images.select(F.col("image_id").alias(f"id_{x}"), F.col("payload").alias(f"p{x}")) for x in "ab"]
+
+    def cells(part: pa.RecordBatch, side: str):
+        _, first, back = np.unique(part.column(f"id_{side}").to_numpy(), return_index=True, return_inverse=True)
+        return make(part.column(f"p{side}").take(pa.array(first)))[back]
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            good = pc.and_(batch.column("pa").is_valid(), batch.column("pb").is_valid())
+            whole, holes = batch.filter(good), batch.filter(pc.invert(good))
+            found = []
+            for part in (whole.slice(i, ROWS) for i in range(0, whole.num_rows, ROWS)):
+                apart = np.abs(cells(part, "a") - cells(part, "b")).sum(axis=(1, 2))
+                found.append((part, pa.array(apart, pa.int64()), pa.array(apart / SIDE**2)))
+            if holes.num_rows:
+                found.append((holes, pa.nulls(holes.num_rows, pa.int64()), pa.nulls(holes.num_rows, pa.float64())))
+            for p, total, mean in found:
+                yield pa.RecordBatch.from_arrays(
+                    [p.column("id_a"), p.column("id_b"), total, mean],
+                    names=["id_a", "id_b", "sum_abs_diff", "mean_abs_diff"],
+                )
+
+    both = _beside(pairs, *sides).select("id_a", "id_b", "pa", "pb")
+    return both.mapInArrow(kernel, "id_a long, id_b long, sum_abs_diff long, mean_abs_diff double")
+
+
 def unchanged(before: DataFrame, after: DataFrame, label: str) -> DataFrame:
     """(edit, n, n_same, flipped_bits) of hashes (image_id, hash) before and after an edit."""
     both = before.select("image_id", F.col("hash").alias("h0")).join(

@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from splitguard.functions import runtime
-from splitguard.operators import collide, dedup, galleries, measures
+from splitguard.operators import collide, dedup, galleries, measures, raster
 from splitguard.operators.components import connected_components
 from splitguard.operators.orient import PAPER_OPS
 from splitguard.plans import audits
@@ -183,6 +183,19 @@ def test_precision_and_agreement_by_hand(spark):
     assert measures.verify_pairs(pairs, pixels).first()["mean_abs_diff"] == 2.5
 
 
+def test_verified_pairs_broadcast_no_rasters(spark):
+    """Spark's guess of their size is far too low, and a broadcast goes through the driver."""
+    made = audits.verify_collisions_part(spark, SF)
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan and "pixels" not in plan
+    images = spark.createDataFrame([(1, "a", "ab" * 9), (2, "a", None), (3, "a", "ab" * 9), (4, "a", "b")], "image_id long, split string, payload string")
+    pairs = spark.createDataFrame([(1, 2), (1, 3), (1, 4)], "id_a long, id_b long")
+    got = {r["id_b"]: (r["sum_abs_diff"], r["mean_abs_diff"]) for r in measures.verify_payloads(pairs, images, "text").collect()}
+    pixels = raster.rasters(images, "text").where("pixels is not null")
+    want = {r["id_b"]: (r["sum_abs_diff"], r["mean_abs_diff"]) for r in measures.verify_pairs(pairs, pixels).collect()}
+    assert got == want | {2: (None, None)} and want[3] == (0, 0.0) and want[4][0] > 0
+
+
 def test_gallery_is_bounded(spark):
     target = spark.range(50).select(F.col("id").alias("image_id"), F.lit(1).cast("long").alias("hash"))
     got = galleries.gallery(target.where("image_id < 9"), target, queries=4, k=3)
