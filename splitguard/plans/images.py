@@ -1,16 +1,25 @@
 """Queries on the way of an image: colour, grey, fit to 32 x 32 or downsampling by a factor, hash.
 
 The given tables hold no images, so each part has one made of its key by arithmetic: 48 x 40
-colour cells, or 20 x 20 for every tenth, which is too small for a fingerprint.
+colour cells, or 20 x 20 for every tenth, which is too small for a fingerprint. Cells are made,
+turned grey, fitted and hashed in numpy by a chain of kernels in one Python pass, so that only keys
+go in and only results come out. A table of parts is narrow and comes in few splits for the work
+that hangs on its keys, so they are dealt out over all tasks first.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from splitguard import oracles as O
 from splitguard.functions.dct import PAPER_OPS, size_basis
+from splitguard.functions.runtime import reliable, shuffle_width
 from splitguard.operators import fingerprint as fp
 from splitguard.operators import measures, raster
 from splitguard.plans.hashing import joined
@@ -19,6 +28,69 @@ from splitguard.sources.carriers import table
 HEIGHT, WIDTH, SMALL = 48, 40, 20
 # A cell of a colour: (k * a + key * b + (k div 40) * (key % c)) % 256.
 _COLOURS = {"red": (7, 13, 5), "green": (3, 29, 11), "blue": (11, 5, 7)}
+#: Images made at once: 1,920 cells of 4 bytes and three colours each, so about 12 MB.
+IMAGES = 512
+
+Kernel = Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]
+
+
+def colour_cells(keys: np.ndarray, a: int, b: int, c: int) -> np.ndarray:
+    """(n, 1920) cells of one colour; remainders have the sign of what is divided, as in SQL."""
+    k = np.arange(HEIGHT * WIDTH)
+    if len(keys) and keys.min() < 0:
+        whole = k * a + (keys * b)[:, None] + (k // WIDTH) * np.fmod(keys, c)[:, None]
+        return np.fmod(whole, 256).astype(np.int32)
+    base, rows = (k * a).astype(np.int32), (k // WIDTH).astype(np.int32)
+    return (base + (keys * b & 255).astype(np.int32)[:, None] + rows * (keys % c).astype(np.int32)[:, None]) & 255
+
+
+def _colour_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(image_id, split, height, width, red, green, blue) of (image_id, split); no key, no colours."""
+    k = np.arange(HEIGHT * WIDTH)
+    for whole in batches:
+        for part in (whole.slice(i, IMAGES) for i in range(0, whole.num_rows, IMAGES)):
+            ids = part.column("image_id")
+            keys = ids.fill_null(1).to_numpy(zero_copy_only=False)
+            small = keys % 10 == 0
+            high, wide = (np.where(small, SMALL, n).astype(np.int32) for n in (HEIGHT, WIDTH))
+            sizes = (high * wide).astype(np.int64)
+            filled = k < sizes[:, None]
+            holes = np.repeat(ids.is_null().to_numpy(zero_copy_only=False), sizes) if ids.null_count else None
+            lists = [
+                raster.lists_of(pa.array(colour_cells(keys, *x)[filled], pa.int32(), mask=holes), sizes)
+                for x in _COLOURS.values()
+            ]
+            yield pa.RecordBatch.from_arrays(
+                [ids, part.column("split"), pa.array(high), pa.array(wide), *lists],
+                names=["image_id", "split", "height", "width", *_COLOURS],
+            )
+
+
+def _grey_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(image_id, split, height, width, pixels)."""
+    for batch in batches:
+        grey = raster.grey_lists(*[batch.column(c) for c in _COLOURS])
+        held = ["image_id", "split", "height", "width"]
+        yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in held], grey], names=[*held, "pixels"])
+
+
+def _payload_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """What a hash kernel reads, of fitted rasters."""
+    for batch in batches:
+        held = [batch.column(c) for c in ("image_id", "split", "pixels")]
+        yield pa.RecordBatch.from_arrays(held, names=["image_id", "split", "payload"])
+
+
+def made_images(spark, sf_dir, schema: str, *kernels: Kernel) -> DataFrame:
+    """What the kernels, one after another, make of the colour images of all parts."""
+
+    def chain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for kernel in (_colour_batches, *kernels):
+            batches = kernel(batches)
+        return batches
+
+    keys = table(spark, sf_dir, "part").select(F.col("p_partkey").cast("long").alias("image_id"))
+    return raster.with_split(keys.repartition(shuffle_width(spark), "image_id")).mapInArrow(chain, schema)
 
 
 def colour_images(spark, sf_dir) -> DataFrame:
@@ -77,9 +149,10 @@ def wrong_sizes_images(spark, sf_dir):
 
 
 def index_size_images(spark, sf_dir):
-    fitted = raster.fit_rasters(grey_images(spark, sf_dir)).withColumnRenamed("pixels", "payload")
-    spec = fp.Hash("hashes", threshold="mean_ac", ops=PAPER_OPS)
-    return measures.index_size(fp.fingerprints(fitted, "pixels", spec))
+    hashed = fp.hash_kernel("pixels", fp.Hash("hashes", threshold="mean_ac", ops=PAPER_OPS))
+    schema = "image_id long, split string, hashes array<long>"
+    kernels = (_grey_batches, raster.fit_kernel(), _payload_batches, hashed)
+    return measures.index_size(reliable(made_images(spark, sf_dir, schema, *kernels)))
 
 
 # ---- SQL twins ---------------------------------------------------------------------------
