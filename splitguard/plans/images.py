@@ -137,7 +137,8 @@ def phash_images(spark, sf_dir):
 
 def phash_factor_images(spark, sf_dir):
     """Colour to hash by a downsampling factor of two."""
-    return fp.phash_factor(grey_images(spark, sf_dir), 2, threshold="mean_ac")
+    schema = "image_id long, split string, hash long"
+    return made_images(spark, sf_dir, schema, _grey_batches, fp.factor_kernel(2, threshold="mean_ac"))
 
 
 def wrong_sizes_images(spark, sf_dir):

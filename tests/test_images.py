@@ -9,7 +9,7 @@ from splitguard.operators import raster
 from splitguard.plans import images
 
 SF = "/root/testdata/sf0.001"
-QUERIES = []
+QUERIES = ["phash_factor_images"]
 
 
 @pytest.mark.parametrize("name", QUERIES)
