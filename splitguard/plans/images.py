@@ -125,8 +125,15 @@ def grey_modes_images(spark, sf_dir):
 
 def fit_images(spark, sf_dir):
     """Images fitted to 32 x 32, or why they can't be."""
-    fitted = raster.fit_rasters(grey_images(spark, sf_dir))
-    return fitted.select("image_id", "reason", joined(F.col("pixels")).alias("cells"))
+
+    def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            columns = [batch.column("image_id"), batch.column("reason"), raster.joined_lists(batch.column("pixels"))]
+            yield pa.RecordBatch.from_arrays(columns, names=["image_id", "reason", "cells"])
+
+    return made_images(
+        spark, sf_dir, "image_id long, reason string, cells string", _grey_batches, raster.fit_kernel(), texts
+    )
 
 
 def phash_images(spark, sf_dir):
