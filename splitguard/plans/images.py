@@ -22,7 +22,6 @@ from splitguard.functions.dct import PAPER_OPS, size_basis
 from splitguard.functions.runtime import reliable, shuffle_width
 from splitguard.operators import fingerprint as fp
 from splitguard.operators import measures, raster
-from splitguard.plans.hashing import joined
 from splitguard.sources.carriers import table
 
 HEIGHT, WIDTH, SMALL = 48, 40, 20
@@ -118,9 +117,15 @@ def grey_images(spark, sf_dir, mode: str = "luma") -> DataFrame:
 
 
 def grey_modes_images(spark, sf_dir):
-    rgb = [F.col(c) for c in ("red", "green", "blue")]
-    greys = [joined(raster.to_grey(*rgb, mode)).alias(mode) for mode in ("luma", "mean", "green")]
-    return colour_images(spark, sf_dir).select("image_id", *greys)
+    modes = ("luma", "mean", "green")
+
+    def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rgb = [batch.column(c) for c in _COLOURS]
+            made = [raster.joined_lists(raster.grey_lists(*rgb, mode)) for mode in modes]
+            yield pa.RecordBatch.from_arrays([batch.column("image_id"), *made], names=["image_id", *modes])
+
+    return made_images(spark, sf_dir, "image_id long, luma string, mean string, green string", texts)
 
 
 def fit_images(spark, sf_dir):
