@@ -143,8 +143,9 @@ def fit_images(spark, sf_dir):
 
 def phash_images(spark, sf_dir):
     """Colour to hash; images that can't be fitted have none."""
-    fitted = raster.fit_rasters(grey_images(spark, sf_dir))
-    return fp.phash(fitted.withColumnRenamed("pixels", "payload"), threshold="mean_ac")
+    hashed = fp.hash_kernel("pixels", fp.Hash(threshold="mean_ac"))
+    schema = "image_id long, split string, hash long"
+    return made_images(spark, sf_dir, schema, _grey_batches, raster.fit_kernel(), _payload_batches, hashed)
 
 
 def phash_factor_images(spark, sf_dir):

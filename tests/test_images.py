@@ -9,7 +9,7 @@ from splitguard.operators import raster
 from splitguard.plans import images
 
 SF = "/root/testdata/sf0.001"
-QUERIES = ["phash_factor_images", "fit_images", "grey_modes_images"]
+QUERIES = ["phash_factor_images", "fit_images", "grey_modes_images", "phash_images"]
 
 
 @pytest.mark.parametrize("name", QUERIES)
