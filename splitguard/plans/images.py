@@ -92,30 +92,6 @@ def made_images(spark, sf_dir, schema: str, *kernels: Kernel) -> DataFrame:
     return raster.with_split(keys.repartition(shuffle_width(spark), "image_id")).mapInArrow(chain, schema)
 
 
-def colour_images(spark, sf_dir) -> DataFrame:
-    """(image_id, split, height, width, red, green, blue)."""
-    key = F.col("p_partkey").cast("long")
-    small = F.pmod(key, F.lit(10)) == 0
-    high, wide = (F.when(small, SMALL).otherwise(n).cast("int") for n in (HEIGHT, WIDTH))
-
-    def cells(a: int, b: int, c: int):
-        return F.transform(
-            F.sequence(F.lit(0), high * wide - 1),
-            lambda k: ((k * a + key * b + F.floor(k / WIDTH) * (key % c)) % 256).cast("int"),
-        )
-
-    made = table(spark, sf_dir, "part").select(
-        key.alias("image_id"), high.alias("height"), wide.alias("width"), *[cells(*x).alias(n) for n, x in _COLOURS.items()]
-    )
-    return raster.with_split(made)
-
-
-def grey_images(spark, sf_dir, mode: str = "luma") -> DataFrame:
-    """(image_id, split, height, width, pixels)."""
-    grey = raster.to_grey(F.col("red"), F.col("green"), F.col("blue"), mode)
-    return colour_images(spark, sf_dir).select("image_id", "split", "height", "width", grey.alias("pixels"))
-
-
 def grey_modes_images(spark, sf_dir):
     modes = ("luma", "mean", "green")
 
@@ -156,10 +132,20 @@ def phash_factor_images(spark, sf_dir):
 
 def wrong_sizes_images(spark, sf_dir):
     """How many images each reason leaves without a fingerprint, and how many hashes there are."""
-    fitted = raster.fit_rasters(grey_images(spark, sf_dir))
-    hashed = fp.phash(fitted.withColumnRenamed("pixels", "payload"), threshold="mean_ac")
-    reasons = fitted.groupBy(F.coalesce("reason", F.lit("whole")).alias("what")).agg(F.count(F.lit(1)).alias("n"))
-    return reasons.unionByName(hashed.agg(F.lit("hashed").alias("what"), F.count("hash").alias("n")))
+    hashed = fp.hash_kernel("pixels", fp.Hash(threshold="mean_ac"))
+
+    def counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            tally = pc.value_counts(batch.column("reason").fill_null("whole"))
+            n = sum(h.num_rows - h.column("hash").null_count for h in hashed(_payload_batches(iter([batch]))))
+            what, many = (tally.field(i).to_pylist() for i in (0, 1))
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([*what, "hashed"], pa.string()), pa.array([*many, n], pa.int64())], names=["what", "n"]
+            )
+
+    found = made_images(spark, sf_dir, "what string, n long", _grey_batches, raster.fit_kernel(), counts)
+    none = spark.range(1).select(F.lit("hashed").alias("what"), F.lit(0).cast("long").alias("n"))
+    return found.unionByName(none).groupBy("what").agg(F.sum("n").alias("n"))
 
 
 def index_size_images(spark, sf_dir):

@@ -9,7 +9,7 @@ from splitguard.operators import raster
 from splitguard.plans import images
 
 SF = "/root/testdata/sf0.001"
-QUERIES = ["phash_factor_images", "fit_images", "grey_modes_images", "phash_images"]
+QUERIES = ["grey_modes_images", "fit_images", "phash_images", "phash_factor_images", "wrong_sizes_images"]
 
 
 @pytest.mark.parametrize("name", QUERIES)
@@ -45,3 +45,11 @@ def test_colour_cells_by_hand():
             for i, key in enumerate(n.tolist()):
                 whole = [k * a + key * b + (k // 40) * int(np.fmod(key, c)) for k in (0, 39, 40, 1919)]
                 assert got[i, [0, 39, 40, 1919]].tolist() == [int(np.fmod(x, 256)) for x in whole]
+
+
+def test_a_part_without_a_key(spark, tmp_path):
+    spark.createDataFrame([(None,), (1,), (10,)], "p_partkey long").write.parquet(f"{tmp_path}/part.parquet")
+    got = {r["image_id"]: r for r in images.fit_images(spark, str(tmp_path)).collect()}
+    assert got[None]["reason"] == "null pixel" and got[10]["cells"] is None and got[1]["cells"].count(",") == 1023
+    counts = {r["what"]: r["n"] for r in images.wrong_sizes_images(spark, str(tmp_path)).collect()}
+    assert counts == {"null pixel": 1, "whole": 1, "smaller than the target": 1, "hashed": 1}
