@@ -16,19 +16,25 @@ from splitguard.operators.fingerprint import phash
 from splitguard.operators.raster import with_split
 
 
-def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The events table as a stream, with ts as a timestamp.
+def table_stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table as a stream: all files of its folder, or its one file.
 
-    A file source watches a folder and a table may be one file, so the folder is watched
-    with a filter on its name.
+    A file source watches a folder, so of a table in one file the folder around it is watched
+    with a filter on the name. Such a filter holds for the names of files, so it would leave
+    nothing of a table that is a folder itself.
     """
-    schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    raw = (
-        spark.readStream.schema(schema)
-        .option("pathGlobFilter", "events.parquet")
-        .parquet(sf_dir)
-    )
-    return raw.withColumn("ts", F.col("ts").cast("timestamp"))
+    place = f"{sf_dir}/{name}.parquet"
+    path = spark._jvm.org.apache.hadoop.fs.Path(place)
+    files = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    source = spark.readStream.schema(spark.read.parquet(place).schema)
+    if files.getFileStatus(path).isDirectory():
+        return source.parquet(place)
+    return source.option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
+
+
+def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The events table as a stream, with ts as a timestamp."""
+    return table_stream(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -116,9 +122,7 @@ def first_arrivals(events: DataFrame, key: str, late: str = "60 days") -> DataFr
 
 def text_stream(spark: SparkSession, sf_dir: str, name: str, key: str, text: str) -> DataFrame:
     """A table's texts as a stream of a collection (image_id, split, payload)."""
-    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    raw = spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
-    slim = raw.select(F.col(key).cast("long").alias("image_id"), F.col(text).alias("payload"))
+    slim = table_stream(spark, sf_dir, name).select(F.col(key).cast("long").alias("image_id"), F.col(text).alias("payload"))
     return with_split(slim).select("image_id", "split", "payload")
 
 

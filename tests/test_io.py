@@ -120,6 +120,15 @@ def test_leak_guard_per_batch(spark, tmp_path):
     assert sorted(seen) == [(1, False), (2, True)]
 
 
+def test_streams_read_tables_in_many_files(spark, tmp_path):
+    """A table is one file or a folder of files; a stream must read either whole."""
+    for name in ("documents", "events"):
+        spark.read.parquet(f"{SF}/{name}.parquet").repartition(3).write.parquet(f"{tmp_path}/{name}.parquet")
+    for query in ("stream_leak_guard", "stream_tumbling_events"):
+        one, many = (sorted(map(tuple, catalogue.queries()[query](spark, d).collect()), key=repr) for d in (SF, str(tmp_path)))
+        assert one and many == one
+
+
 def test_entry(spark):
     report = __spark_entry__.entry(spark)
     assert report.columns == ["split", "n_official", "n_unique", "n_final"] and report.count() == 2
