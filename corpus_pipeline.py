@@ -1,7 +1,8 @@
 """Corpus pipeline: five stages, each written as Parquet and read again for the next.
 
-Language identification, exact de-duplication, near-duplicates (the stage keeps its name,
-but compares shingle sets: see nearsets), benchmark decontamination, SentencePiece encoding.
+Language identification, exact de-duplication, near-duplicates (SimHash with pigeonhole blocks, and
+keys for what lies farther apart, verified on shingle sets: see nearsets), benchmark
+decontamination, SentencePiece encoding.
 """
 
 from __future__ import annotations

@@ -1,9 +1,11 @@
-"""Near copies by the Jaccard similarity of word shingles: MinHash keys, exact verification, components.
+"""Near copies by SimHash and the Jaccard similarity of word shingles, with exact verification.
 
 A text is the set of its five-word shingles; texts with equal sets are one node. Two nodes
-are linked if their sets have a similarity of at least LEAST. Texts at that similarity
-differ in up to a fifth of the bits of a 64-bit SimHash, too many for pigeonhole blocks, so
-candidates share a key made of several least hash values; with similarity s and the default
+are linked if their sets have a similarity of at least LEAST. Candidates come first from
+SimHash: every set has a 64-bit fingerprint of its shingles, and pigeonhole blocks find those
+within simhash.MAX_BITS bits of one another. Texts at that similarity may differ in up to a
+fifth of the bits, too many for pigeonhole blocks alone, so further candidates share a key made
+of several least hash values; with similarity s and the default
 numbers they share one with chance 1 - (1 - s ** 4) ** 16, which is 0.9998 at 0.8. Every
 link is verified on the whole sets, but for pairs whose 64 least values agree so seldom that
 their sets can't be that alike (six standard deviations); only the sets of the others move.
@@ -33,7 +35,7 @@ from pyspark.sql import functions as F
 
 from splitguard.functions.runtime import join_by_key, reliable
 from splitguard.llm.rows import bitmap_of, lean, rows_of_keys, text_key
-from splitguard.llm.simhash import _LOWER, SEED, keep_least
+from splitguard.llm.simhash import _LOWER, MAX_BITS, SEED, bit_counts, keep_least, print_links
 from splitguard.operators.components import connected_components
 
 WORDS = 5
@@ -93,13 +95,19 @@ def _node(shingles: np.ndarray) -> int:
     return xxhash.xxh64_intdigest(shingles.tobytes(), SEED)
 
 
+def set_print(shingles: np.ndarray) -> int:
+    """Unsigned 64-bit SimHash of a set: the bits set in over half of its shingles; zero if it is empty."""
+    return int(sum(1 << int(b) for b in np.flatnonzero(2 * bit_counts(shingles) > len(shingles))))
+
+
 def _key_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Keys of whole texts, and as `sketch` one byte of each least value."""
+    """Fingerprints and keys of whole texts, and as `sketch` one byte of each least value."""
     for batch in batches:
-        nodes, keys, sketches = np.empty(batch.num_rows, np.uint64), [], []
+        nodes, prints = (np.empty(batch.num_rows, np.uint64) for _ in range(2))
+        keys, sketches = [], []
         for i, text in enumerate(batch.column("text")):
             shingles = shingle_set(text.as_py())
-            nodes[i] = _node(shingles)
+            nodes[i], prints[i] = _node(shingles), set_print(shingles)
             values = least_values(shingles) if len(shingles) else np.empty((0, VALUES), np.uint64)
             keys.append(_keys_of(values))
             sketches.append((values >> np.uint64(20)).astype(np.uint8).tobytes())
@@ -108,10 +116,11 @@ def _key_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 batch.column("doc_id"),
                 batch.column("row_text"),
                 pa.array(nodes.view(np.int64)),
+                pa.array(prints.view(np.int64)),
                 pa.array(keys, pa.list_(pa.int64())),
                 pa.array(sketches, pa.binary()),
             ],
-            names=["doc_id", "row_text", "node", "keys", "sketch"],
+            names=["doc_id", "row_text", "node", "fp", "keys", "sketch"],
         )
 
 
@@ -128,6 +137,20 @@ def _set_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             )
 
 
+def _print_pairs(rows: DataFrame) -> DataFrame:
+    """Candidates (a, b), a < b, of rows (node, fp, keys, ...) by SimHash: each node beside the least of
+    its fingerprint, and those of fingerprints that pigeonhole blocks link within MAX_BITS bits."""
+    named = reliable(rows.where(F.size("keys") > 0).select("node", "fp").distinct())
+    hubs = reliable(named.groupBy("fp").agg(F.min("node").alias("hub"), F.count(F.lit(1)).alias("n")))
+    same = join_by_key(named, hubs.where("n > 1"), ["fp"]).select("node", "hub")
+    # A fingerprint has few links here: those of a run span small Hamming balls.
+    links = print_links(hubs.select("fp"), MAX_BITS).distinct()
+    ends = [hubs.select(F.col("fp").alias(x), F.col("hub").alias(f"hub_{x}")) for x in "ab"]
+    near = links.join(ends[0], "a").join(ends[1], "b").select("hub_a", "hub_b")
+    pairs = same.union(near).toDF("x", "y").where("x != y")
+    return reliable(pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct())
+
+
 def _plausible(pairs: DataFrame, sketches: DataFrame, least: float) -> DataFrame:
     """The pairs (a, b) whose sketches (node, sketch) agree in as many bytes as alike sets' do."""
     count = KEYS * VALUES
@@ -217,16 +240,18 @@ def near_duplicates(
         text_key(text_col).alias("row_text"),
         F.col(text_col).alias("text"),
     )
-    schema = "doc_id long, row_text long, node long, keys array<long>, sketch binary"
+    schema = "doc_id long, row_text long, node long, fp long, keys array<long>, sketch binary"
     rows = reliable(slim.mapInArrow(lean(_key_batches), schema))
+    by_print = _print_pairs(rows)
     dealt = rows.select("node", F.explode("keys").alias("key"))
     runs = dealt.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high"))
     runs = reliable(runs.where("low != high").select("key", "low"))
     # Most keys are one node's; the bitmap keeps those out of the join.
     shared, _ = bitmap_of(runs, "key").split(dealt, F.col("key"))
     shared = reliable(shared.distinct().join(runs, "key"))
-    members = reliable(shared.select("node").distinct())
-    # One row of each node that shares a key.
+    members = shared.select("node").union(by_print.select(F.explode(F.array("a", "b"))))
+    members = reliable(members.distinct())
+    # One row of each node that shares a key or has a near fingerprint.
     firsts = rows_of_keys(rows.select("node", "row_text", "sketch"), members, "node")
     firsts = reliable(firsts.groupBy("node").agg(F.min("row_text").alias("row_text"), F.first("sketch").alias("sketch")))
     texts = reliable(firsts.select("row_text").distinct())
@@ -236,9 +261,8 @@ def near_duplicates(
         sets = reliable(sets.dropDuplicates(["node"]))
 
     ends = shared.select("node", F.col("low").alias("end")).where("node != end")
-    tried = reliable(
-        ends.select(F.least("node", "end").alias("a"), F.greatest("node", "end").alias("b")).distinct()
-    )
+    by_key = ends.select(F.least("node", "end").alias("a"), F.greatest("node", "end").alias("b"))
+    tried = reliable(by_print.union(by_key).distinct())
     links = _verified(_plausible(tried, firsts, least), sets, least)
     # Two steps along the links name most components; what has two names is only searched once more.
     up = reliable(links.groupBy(F.col("b").alias("node")).agg(F.min("a").alias("c")))
@@ -257,7 +281,7 @@ def near_duplicates(
     nodes = connected_components(links, "a", "b")
     held = rows.groupBy("node").agg(F.count(F.lit(1)).alias("n"))
     nodes = reliable(nodes.join(held, "node"))
-    return join_by_key(rows.drop("keys", "sketch"), nodes, ["node"], how="left").select(
+    return join_by_key(rows.drop("fp", "keys", "sketch"), nodes, ["node"], how="left").select(
         "doc_id", "row_text", "node", F.coalesce("component", "node").alias("class")
     )
 

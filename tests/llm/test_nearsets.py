@@ -78,3 +78,18 @@ def test_stage_on_the_given_documents(spark):
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
     rows = sorted((r["doc_id"], r["text"]) for r in docs.collect())
     assert sorted(r["doc_id"] for r in nearsets.keep_one(docs).collect()) == plain_kept(rows)
+
+
+def test_simhash_alone_finds_near_fingerprints(spark, monkeypatch):
+    """With keys that only equal sets share, pairs come from pigeonhole blocks of fingerprints."""
+    rng = np.random.default_rng(11)
+    words = [[f"w{x}" for x in rng.integers(0, 50000, 3000)] for _ in range(6)]
+    rows = [(2 * i + k, " ".join(w) if not k else edited(w, rng, 2)) for i, w in enumerate(words) for k in (0, 1)]
+    prints = [nearsets.set_print(nearsets.shingle_set(t)) for _, t in rows]
+    apart = [(prints[i] ^ prints[i + 1]).bit_count() for i in range(0, len(rows), 2)]
+    assert nearsets.set_print(nearsets.shingle_set(" ")) == 0 and min(apart) <= 4
+    monkeypatch.setattr(nearsets, "_keys_of", lambda values: [int(values.view(np.int64).sum())])
+    docs = spark.createDataFrame([*rows, (90, ""), (91, None)], "doc_id long, text string")
+    kept = {r["doc_id"] for r in nearsets.keep_one(docs).collect()}
+    gone = {2 * i + 1 for i, bits in enumerate(apart) if bits <= 4}
+    assert kept == set(range(12)) - gone | {90}
